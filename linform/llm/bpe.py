@@ -9,8 +9,8 @@ rank order, each by a small gadget for (u, v) -> w:
 All arcs with one label lead to one state, so the machine is: a state for each token, a tree of states (each a
 copy of its parent less one arc), and for each token the merge that made it. delta(state, token) is then
 answered by walking that tree, and answers are kept in a transition table that fills as it is used. A path
-through the machine spells the only token sequence that the merges give for its bytes; encoding walks all
-prefixes of a word at once, and decoding emits the labels of the arcs.
+through the machine spells the only token sequence that the merges give for its bytes; encoding follows it arc
+by arc, and decoding emits the labels of the arcs.
 
 Null texts count as empty: no ids, empty decoded text. A string of a special token inside a text becomes that
 token's id, as in the public library. Ids outside the vocabulary are dropped on decoding.
@@ -26,12 +26,10 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from linform.llm.common import texts_of
-
 # Fixed value: the pre-split pattern of byte-level BPE.
 PRE_SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
-#: Words whose ids are kept by a worker, and answers kept in the transition table; both start afresh when full.
-KEPT_WORDS, KEPT_ARCS = 300_000, 2_000_000
+#: Words whose ids a worker keeps in each of two generations, answers kept in the transition table, rows in a batch out.
+KEPT_WORDS, KEPT_ARCS, ROWS = 100_000, 1_000_000, 256
 
 
 def byte_alphabet() -> dict[str, int]:
@@ -52,9 +50,12 @@ class MergeAutomaton:
         n = max(self.label, default=-1) + 1
         self.left, self.born, self.state = [-1] * n, [-1] * n, [0] * n
         self.parent, self.removed, self.made = [-1], [-1], [-1]  # of each state; state 0 has every arc
+        self.arcs: dict[int, bool] = {}
         made_by_merges = {vocab[c] for c in alphabet if c in vocab}
         for rank, (a, b) in enumerate(merges):
             u, v, w = vocab[a], vocab[b], vocab[a + b]
+            if u not in made_by_merges or v not in made_by_merges or not self.allows(self.state[u], v):  # earlier merges never leave this pair side by side
+                continue
             after_v = self.state[v]
             self.parent.append(self.state[u])
             self.removed.append(v)
@@ -71,6 +72,14 @@ class MergeAutomaton:
                 if node == len(self.ends):
                     self.ends.append(-1)
             self.ends[node] = t
+        self.size = [len(self.label.get(t, b"")) for t in range(n)]
+        self.shorter = [-1] * n  # the longest token that is a true prefix of each
+        for t in made_by_merges:
+            node = 0
+            for byte in self.label[t][:-1]:
+                node = self.trie[node << 8 | byte]
+                if self.ends[node] >= 0:
+                    self.shorter[t] = self.ends[node]
         self._fresh()
 
     @classmethod
@@ -84,12 +93,13 @@ class MergeAutomaton:
     def _fresh(self) -> None:
         self.arcs: dict[int, bool] = {}
         self.words: dict[str, tuple[int, ...]] = {}
+        self.older: dict[str, tuple[int, ...]] = {}
         self._split = regex.compile(PRE_SPLIT)
         cut = "|".join(regex.escape(t) for t in sorted(self.special, key=len, reverse=True))
         self._cut = regex.compile(f"({cut})") if cut else None
 
     def __getstate__(self) -> dict:
-        return {k: v for k, v in self.__dict__.items() if k not in ("arcs", "words", "_split", "_cut")}
+        return {k: v for k, v in self.__dict__.items() if k not in ("arcs", "words", "older", "_split", "_cut")}
 
     def __setstate__(self, kept: dict) -> None:
         self.__dict__.update(kept)
@@ -113,32 +123,43 @@ class MergeAutomaton:
         return known
 
     def encode_word(self, word: bytes) -> tuple[int, ...]:
-        """The one path that spells the word. Time in proportion to its length (times the longest token's)."""
-        n = len(word)
-        last, start, at = [-1] * (n + 1), [-1] * (n + 1), [0] * (n + 1)
-        trie, ends, state, allows, arcs = self.trie, self.ends, self.state, self.allows, self.arcs
-        for i in range(n):
-            s, node = at[i], 0
-            for j in range(i, n):
-                node = trie.get(node << 8 | word[j], -1)
-                if node < 0:
+        """The one path that spells the word: depth first, longest arcs first.
+
+        A prefix has one path only, so a position that fails once fails for good; time is in proportion to the
+        length of the word (times the length of the longest token).
+        """
+        trie, ends, state, shorter, arcs, allows = self.trie, self.ends, self.state, self.shorter, self.arcs, self.allows
+        size, n, at, s, dead = self.size, len(word), 0, 0, set()
+        path: list[int] = []
+        while at < n:
+            t, node, j = -1, 0, at
+            while j < n and (node := trie.get(node << 8 | word[j], -1)) >= 0:
+                j += 1
+                if ends[node] >= 0:
+                    t = ends[node]
+            while True:
+                if t < 0:  # no arc from here: step back and take a shorter one
+                    dead.add(at)
+                    t = path.pop()
+                    at -= size[t]
+                    s = state[path[-1]] if path else 0
+                elif at + size[t] not in dead and ((known := arcs.get(s << 32 | t)) or (known is None and allows(s, t))):
+                    path.append(t)
+                    at += size[t]
+                    s = state[t]
                     break
-                t = ends[node]
-                if t >= 0 and (arcs.get(s << 32 | t) if s << 32 | t in arcs else allows(s, t)):
-                    last[j + 1], start[j + 1], at[j + 1] = t, i, state[t]
-        out = []
-        while n:
-            out.append(last[n])
-            n = start[n]
-        return tuple(out[::-1])
+                t = shorter[t]
+        return tuple(path)
 
     def _word(self, word: str) -> tuple[int, ...]:
         found = self.words.get(word)
         if found is None:
-            found = self.encode_word(word.encode())
+            found = self.older.get(word)
+            if found is None:
+                found = self.encode_word(word.encode())
             if len(word) <= 64:
                 if len(self.words) >= KEPT_WORDS:
-                    self.words.clear()
+                    self.older, self.words = self.words, {}
                 self.words[word] = found
         return found
 
@@ -160,31 +181,38 @@ class MergeAutomaton:
 
 def encode(docs: DataFrame, automaton: MergeAutomaton, text_col: str = "text", ids_col: str = "ids") -> DataFrame:
     """All columns of docs (one named as ids_col is replaced) and the token ids of the text."""
-    return _apply(docs, automaton, text_col, ids_col, True)
+    return _added(docs, automaton, text_col, {ids_col: "array<int>"}, lambda tool, text: (tool.encode(text or ""),))
 
 
 def decode(tokens: DataFrame, automaton: MergeAutomaton, ids_col: str = "ids", text_col: str = "decoded") -> DataFrame:
     """All columns of tokens (one named as text_col is replaced) and the text that the ids spell; null ids: empty."""
-    return _apply(tokens, automaton, ids_col, text_col, False)
+    return _added(tokens, automaton, ids_col, {text_col: "string"}, lambda tool, ids: (tool.decode(ids or ()),))
+
 
+def round_trip(docs: DataFrame, automaton: MergeAutomaton, text_col: str = "text", ids_col: str = "ids", decoded_col: str = "decoded") -> DataFrame:
+    """encode, then decode of its ids, in one pass over the rows."""
 
-def _apply(df: DataFrame, automaton: MergeAutomaton, source: str, target: str, forth: bool) -> DataFrame:
+    def both(tool: MergeAutomaton, text: str | None) -> tuple[list[int], str]:
+        ids = tool.encode(text or "")
+        return ids, tool.decode(ids)
+
+    return _added(docs, automaton, text_col, {ids_col: "array<int>", decoded_col: "string"}, both)
+
+
+def _added(df: DataFrame, automaton: MergeAutomaton, source: str, made: dict[str, str], one) -> DataFrame:
     machine = df.sparkSession.sparkContext.broadcast(automaton)
-    df = df.drop(target) if target != source else df.withColumnRenamed(source, f"{source} in")
-    source = source if target != source else f"{source} in"
-    kept = [c for c in df.columns if c != source or not source.endswith(" in")]
-    kind = pa.list_(pa.int32()) if forth else pa.string()
+    kept = [c for c in df.columns if c not in made]
+    asked = df.select(*kept, F.col(source).alias("_asked"))
+    kinds = [pa.list_(pa.int32()) if kind.startswith("array") else pa.string() for kind in made.values()]
 
     def run(batches):
         tool = machine.value
-        for batch in batches:
-            column = batch.column(batch.schema.get_field_index(source))
-            if forth:
-                made = [tool.encode(x) for x in texts_of(column)]
-            else:
-                made = [tool.decode(x or ()) for x in column.to_pylist()]
-            arrays = [batch.column(batch.schema.get_field_index(c)) for c in kept]
-            yield pa.RecordBatch.from_arrays([*arrays, pa.array(made, kind)], names=[*kept, target])
-
-    schema = df.select(*kept).withColumn(target, F.lit(None).cast("array<int>" if forth else "string")).schema
-    return df.mapInArrow(run, schema)
+        for whole in batches:
+            for at in range(0, whole.num_rows, ROWS):
+                batch = whole.slice(at, ROWS)
+                out = zip(*(one(tool, x) for x in batch.column(len(kept)).to_pylist()), strict=True)
+                arrays = [pa.array(values, kind) for values, kind in zip(out, kinds, strict=True)]
+                yield pa.RecordBatch.from_arrays([*batch.columns[: len(kept)], *arrays], names=[*kept, *made])
+
+    schema = df.select(*kept, *(F.lit(None).cast(kind).alias(c) for c, kind in made.items())).schema
+    return asked.mapInArrow(run, schema)
