@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from linform.llm import bpe, chat, exact_dedup, quality, secrets, simhash
+from linform.llm import bpe, chat, exact_dedup, quality, secrets, simhash, sketch
 from linform.llm.common import materialise
 
 
@@ -37,6 +37,10 @@ def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op5_sketch(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sketch.edited_and_next(table(spark, sf_dir, "documents"))
+
+
 def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_duplicates(table(spark, sf_dir, "documents"))
 
@@ -64,6 +68,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_bpe": op1_bpe,
     "op2_secrets": op2_secrets,
     "op3_simhash": op3_simhash,
+    "op5_sketch": op5_sketch,
     "op6_exact_dedup": op6_exact_dedup,
     "op7_quality": op7_quality,
     "op10_chat": op10_chat,
