@@ -39,6 +39,25 @@ def byte_alphabet() -> dict[str, int]:
     return {chr(b): b for b in plain} | {chr(256 + i): b for i, b in enumerate(rest)}
 
 
+class WordIds(dict):
+    """Ids of words, made when first asked for; keeps the present and the last generation of words."""
+
+    def __init__(self, encode_word):
+        super().__init__()
+        self.encode_word, self.older = encode_word, {}
+
+    def __missing__(self, word: str) -> tuple[int, ...]:
+        found = self.older.get(word)
+        if found is None:
+            found = self.encode_word(word.encode())
+        if len(word) <= 64:
+            if len(self) >= KEPT_WORDS:
+                self.older = dict(self)
+                self.clear()
+            self[word] = found
+        return found
+
+
 class MergeAutomaton:
     """Compiled once on the driver and broadcast; its size depends on the vocabulary only."""
 
@@ -92,14 +111,14 @@ class MergeAutomaton:
 
     def _fresh(self) -> None:
         self.arcs: dict[int, bool] = {}
-        self.words: dict[str, tuple[int, ...]] = {}
-        self.older: dict[str, tuple[int, ...]] = {}
+        self.words = WordIds(self.encode_word)
+        self.spelling = [self.label.get(i, b"") for i in range(len(self.size))]
         self._split = regex.compile(PRE_SPLIT)
         cut = "|".join(regex.escape(t) for t in sorted(self.special, key=len, reverse=True))
         self._cut = regex.compile(f"({cut})") if cut else None
 
     def __getstate__(self) -> dict:
-        return {k: v for k, v in self.__dict__.items() if k not in ("arcs", "words", "older", "_split", "_cut")}
+        return {k: v for k, v in self.__dict__.items() if k not in ("arcs", "words", "spelling", "_split", "_cut")}
 
     def __setstate__(self, kept: dict) -> None:
         self.__dict__.update(kept)
@@ -151,32 +170,21 @@ class MergeAutomaton:
                 t = shorter[t]
         return tuple(path)
 
-    def _word(self, word: str) -> tuple[int, ...]:
-        found = self.words.get(word)
-        if found is None:
-            found = self.older.get(word)
-            if found is None:
-                found = self.encode_word(word.encode())
-            if len(word) <= 64:
-                if len(self.words) >= KEPT_WORDS:
-                    self.older, self.words = self.words, {}
-                self.words[word] = found
-        return found
-
     def encode(self, text: str) -> list[int]:
         if self._cut is None or not any(t in text for t in self.special):
-            return list(chain.from_iterable(map(self._word, self._split.findall(text))))
+            return list(chain.from_iterable(map(self.words.__getitem__, self._split.findall(text))))
         out: list[int] = []
         for part in self._cut.split(text):
             if part in self.special:
                 out.append(self.special[part])
             else:
-                out.extend(chain.from_iterable(map(self._word, self._split.findall(part))))
+                out.extend(chain.from_iterable(map(self.words.__getitem__, self._split.findall(part))))
         return out
 
     def decode(self, ids: list[int]) -> str:
-        label = self.label
-        return b"".join([label.get(i, b"") for i in ids]).decode("utf-8", "replace")
+        if ids and not 0 <= min(ids) <= max(ids) < len(self.spelling):
+            ids = [i for i in ids if 0 <= i < len(self.spelling)]
+        return b"".join(map(self.spelling.__getitem__, ids)).decode("utf-8", "replace")
 
 
 def encode(docs: DataFrame, automaton: MergeAutomaton, text_col: str = "text", ids_col: str = "ids") -> DataFrame:
