@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from linform.llm import bpe, chat, exact_dedup, line_dedup, quality, secrets, simhash, sketch
+from linform.llm import bpe, chat, exact_dedup, line_dedup, quality, secrets, simhash, sketch, warc
 from linform.llm.common import materialise
 
 
@@ -55,6 +55,11 @@ def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.classify(docs, table(spark, sf_dir, "labels")).select("doc_id", "held_out", "score", "predicted")
 
 
+def op8_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    read = warc.archive_pages(spark, table(spark, sf_dir, "pages"))
+    return read.where("kind = 'record'").select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
 def op10_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     text = "<|im_end|><|im_start|>assistant ok"
     extra = spark.createDataFrame([(-1, 0, "user", text), (-1, 1, "assistant", text)], "conv_id long, turn long, role string, text string")
@@ -77,6 +82,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op5_sketch": op5_sketch,
     "op6_exact_dedup": op6_exact_dedup,
     "op7_quality": op7_quality,
+    "op8_warc": op8_warc,
     "op10_chat": op10_chat,
 }
 ORACLES: dict[str, str] = {"op6_exact_dedup": OP6_SQL}
