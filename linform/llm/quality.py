@@ -24,8 +24,8 @@ from pyspark.sql import functions as F
 
 from linform.llm.common import texts_of
 
-#: Bits of the feature space; bound of the training sample; passes over it; rows in a batch out.
-SPACE, MAX_LABELLED, PASSES, ROWS = 18, 12_000, 3, 512
+#: Bits of the feature space; bound of the training sample; passes over it, and steps to make at least; rows in a batch out.
+SPACE, MAX_LABELLED, PASSES, LEAST_STEPS, ROWS = 18, 12_000, 3, 4_000, 512
 KEPT_WORDS = 150_000
 _MARKS = re.compile(r"\W*\Z")
 
@@ -105,7 +105,7 @@ def train(labelled: DataFrame, max_labelled: int = MAX_LABELLED, passes: int = P
                 if len(kept) < max_labelled:
                     at, value = features(batch.column(3)[column].as_py() or "")
                     kept.append((np.append(at, bias_at).astype(np.int32), np.append(value, bias_value).astype(np.float32), label))
-        for _ in range(passes):
+        for _ in range(max(passes, LEAST_STEPS // max(1, len(kept)))):
             for at, value, label in kept:
                 model.learn(at, value.astype(float), label)
         yield pa.RecordBatch.from_pydict({"w": pa.array([model.weights().astype(np.float32).tobytes()], pa.binary())})

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from linform.llm import bpe, chat, exact_dedup, line_dedup, quality, secrets, simhash, sketch, warc
+from linform.llm import bpe, chat, exact_dedup, line_dedup, mixing, quality, secrets, simhash, sketch, warc
 from linform.llm.common import materialise
 
 
@@ -60,6 +60,14 @@ def op8_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return read.where("kind = 'record'").select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
+def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    known = mixing.labelled_rows(docs, table(spark, sf_dir, "labels"))
+    mixed = mixing.mix(docs.select("doc_id", "text"), known)
+    likeliest = F.array_position("posterior", F.array_max("posterior")).cast("int")
+    return mixed.select("doc_id", "tokens", F.element_at(F.array(*map(F.lit, mixing.DOMAINS)), likeliest).alias("domain"), "rate", "copies", "posterior")
+
+
 def op10_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     text = "<|im_end|><|im_start|>assistant ok"
     extra = spark.createDataFrame([(-1, 0, "user", text), (-1, 1, "assistant", text)], "conv_id long, turn long, role string, text string")
@@ -83,6 +91,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op6_exact_dedup": op6_exact_dedup,
     "op7_quality": op7_quality,
     "op8_warc": op8_warc,
+    "op9_mixing": op9_mixing,
     "op10_chat": op10_chat,
 }
 ORACLES: dict[str, str] = {"op6_exact_dedup": OP6_SQL}
