@@ -90,8 +90,9 @@ def edited_and_next(docs: DataFrame, fraction: float = FRACTION, small: int = SM
     """Each document beside its edited text (second half from the next document) and the next document.
 
     Returns doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next,
-    contained_edited (share of the document's hashes that the edited text has). Texts are dealt once by key;
-    beside that only the half that the document before needs travels, with the text's sketch.
+    contained_edited (share of the document's hashes that the edited text has), next_doc_id. Texts are dealt once
+    by key (both joins ask for the same columns, so they share that exchange); beside that only the half that the
+    document before needs travels, with the text's sketch.
     """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     docs = docs.withColumn("kid", F.coalesce("doc_id", F.lit(-(2**63)))).withColumn("dk", F.xxhash64(F.col("doc_id").isNull(), "text"))
@@ -100,9 +101,9 @@ def edited_and_next(docs: DataFrame, fraction: float = FRACTION, small: int = SM
     first = F.row_number().over(Window.partitionBy("kid", "dk").orderBy(F.lit(0)))  # of rows that repeat a key
     supply = supply.withColumn("nth", first).where("nth = 1")
     supply = with_sketch(supply, "text", "c", fraction, small)
-    supply = supply.select(F.col("before_kid").alias("kid"), F.col("before_dk").alias("dk"), F.expr("substring(text, 1, cast(before_n div 2 as int))").alias("head"), "c", "c_all")
+    supply = supply.select(F.col("before_kid").alias("kid"), F.col("before_dk").alias("dk"), F.expr("substring(text, 1, cast(before_n div 2 as int))").alias("head"), F.col("doc_id").alias("next_doc_id"), "c", "c_all")
     main = docs.join(supply, ["kid", "dk"]).withColumn("n_chars", F.length("text").cast("long"))
     main = main.withColumn("edited", F.concat(F.expr("substring(text, 1, cast(n_chars - n_chars div 2 as int))"), "head"))
     main = with_sketch(with_sketch(main, "text", "a", fraction, small), "edited", "b", fraction, small)
     main = with_likeness(with_likeness(main, "a", "b", "near_edited", "contained_edited", fraction), "a", "c", "near_next", None, fraction)
-    return main.select("doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), as_text("a", "a_all", fraction).alias("fingerprint"), as_text("b", "b_all", fraction).alias("edited_fingerprint"), "near_edited", "near_next", "contained_edited")
+    return main.select("doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), as_text("a", "a_all", fraction).alias("fingerprint"), as_text("b", "b_all", fraction).alias("edited_fingerprint"), "near_edited", "near_next", "contained_edited", "next_doc_id")
