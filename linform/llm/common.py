@@ -53,6 +53,16 @@ def row_ids(start: int, n: int) -> pa.Array:
     return pa.array(range(base, base + n), pa.int64())
 
 
+def redealt(df: DataFrame, key: str) -> DataFrame:
+    """df with a long or binary key rewritten to itself, so that a join deals df anew by it.
+
+    A sum by the key leaves its rows dealt by it, a join would then take them as they are, and adaptive
+    execution could not split the tasks in which the other side has a hot key.
+    """
+    same = F.concat(F.col(key), F.unhex(F.lit(""))) if dict(df.dtypes)[key] == "binary" else F.col(key).bitwiseXOR(F.lit(0).cast("long"))
+    return df.withColumn(key, same)
+
+
 def texts_of(column: pa.Array) -> list[str]:
     """Texts as Python strings, null as the empty text."""
     return [x or "" for x in column.to_pylist()]
@@ -75,9 +85,9 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         before = state
         both = pairs.union(pairs.select(F.col("v"), F.col("u")))
         least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
-        large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
+        large = both.where("v > u").join(redealt(least, "u"), "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
         low = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v")
+        small = large.join(redealt(low, "u"), "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v")
         pairs = materialise(small.union(low.select("u", "m")).distinct(), "edges")
     else:
         raise RuntimeError(f"components did not settle in {max_rounds} rounds")

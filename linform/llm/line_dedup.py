@@ -24,7 +24,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from linform.llm.common import materialise
+from linform.llm.common import materialise, redealt
 
 MIN_WORDS, COMMON_WORDS, COMMON_COPIES = 20, 3, 20
 KEY = ["kid", "dk"]
@@ -48,8 +48,9 @@ def repeated_lines(texts: DataFrame) -> DataFrame:
     line = F.col("x.line")
     lines = lines.select(*KEY, "pos", "x.at", F.xxhash64(line).alias("l0"), F.xxhash64(F.lit(1), line).alias("l1"), F.size(F.split(F.trim(line), r"\s+")).alias("words"))
     counts = lines.groupBy("l0", "l1").agg(F.count("*").alias("n")).where("n > 1")
-    own = materialise(lines.join(counts, ["l0", "l1"]).drop("n").dropDuplicates([*KEY, "pos"]), "lines")  # rows that repeat are one document
-    return own.join(own.groupBy("l0", "l1").agg(F.count("*").alias("n")).where("n > 1"), ["l0", "l1"]).drop("n")
+    own = materialise(lines.join(redealt(counts, "l0"), ["l0", "l1"]).drop("n").dropDuplicates([*KEY, "pos"]), "lines")  # rows that repeat are one document
+    again = own.groupBy("l0", "l1").agg(F.count("*").alias("n")).where("n > 1")
+    return own.join(redealt(again, "l0"), ["l0", "l1"]).drop("n")
 
 
 def doubled(level: DataFrame, reach: int) -> DataFrame:
@@ -60,7 +61,7 @@ def doubled(level: DataFrame, reach: int) -> DataFrame:
     counted = pairs.groupBy(*names).agg(F.count("*").alias("n")).where("n > 1")
     order = Window.partitionBy("r0", "r1").orderBy("r", "s0", "s1", "s").rowsBetween(Window.unboundedPreceding, -1)
     ranked = counted.withColumn("rank", F.coalesce(F.sum("n").over(order), F.lit(0).cast("long"))).drop("n")
-    joined = pairs.join(ranked, names)
+    joined = pairs.join(redealt(ranked, "r0"), names)
     return joined.select(*KEY, "pos", "r0", "r1", F.col("rank").alias("r"))
 
 
@@ -104,7 +105,7 @@ def later_copies(levels: list[DataFrame], runs: DataFrame) -> DataFrame:
     named = runs.join(head, [*KEY, "k", "start"]).join(tail, [*KEY, "k", "tail"])
     name, place = ["m", "r0", "r1", "r", "s0", "s1", "s"], F.struct("kid", "dk", "start")
     interval = named.groupBy(*name).agg(F.min(place).alias("first"), F.count("*").alias("n")).where("n > 1").drop("n")
-    return named.join(interval, name).where(F.col("first") < place).select(*KEY, "start", "m")
+    return named.join(redealt(interval, "r0"), name).where(F.col("first") < place).select(*KEY, "start", "m")
 
 
 def deleted_lines(lines: DataFrame, min_words: int, common_words: int, common_copies: int) -> DataFrame:
@@ -114,7 +115,7 @@ def deleted_lines(lines: DataFrame, min_words: int, common_words: int, common_co
     reach_of = copies.groupBy(*KEY, F.col("start").alias("pos")).agg(F.max(F.col("start") + F.col("m")).alias("end"))
     first = lines.groupBy("l0", "l1").agg(F.min(F.struct("kid", "dk", "pos")).alias("first"), F.count("*").alias("copies"))
     common = first.where(F.col("copies") >= common_copies).drop("copies")
-    each = lines.join(reach_of, [*KEY, "pos"], "left").join(common, ["l0", "l1"], "left")
+    each = lines.join(reach_of, [*KEY, "pos"], "left").join(redealt(common, "l0"), ["l0", "l1"], "left")
     single = F.coalesce((F.col("words") >= common_words) & (F.col("first") < F.struct("kid", "dk", "pos")), F.lit(False))
     reach = F.max("end").over(Window.partitionBy(*KEY).orderBy("pos").rowsBetween(Window.unboundedPreceding, 0))
     gone = each.withColumn("reach", reach).where((F.coalesce("reach", F.lit(-1)) > F.col("pos")) | single)

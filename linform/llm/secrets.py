@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from linform.llm.common import materialise, row_ids, texts_of
+from linform.llm.common import materialise, redealt, row_ids, texts_of
 
 # The base patterns, in the order in which kinds are listed, with the least length of the value.
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII)
@@ -102,7 +102,7 @@ def scan_secrets(docs: DataFrame, id_col: str = "doc_id", repo_col: str = "doc_i
     from_repo = docs.withColumn("_repo", F.struct(F.col(id_col).alias("id"), F.col(repo_col).alias("repo")))
     scanned = materialise(scan(from_repo, "_repo", owner_col, text_col, least_bits).withColumn("id", F.col("repo.id")).withColumn("repo", F.col("repo.repo")), "secrets")
     each = scanned.where(F.size("found") > 0).select("row", F.inline("found"))
-    weighed = each.join(ownership(scanned), "held").withColumn("few", F.col("n_owners") <= max_owners)
+    weighed = each.join(redealt(ownership(scanned), "held"), "held").withColumn("few", F.col("n_owners") <= max_owners)
     told = (
         weighed.where((F.col("kind") < 3) | (F.col("few") & F.col("random")))
         .groupBy("row")

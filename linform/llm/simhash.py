@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from linform.llm.common import arrow_map, connected_components, materialise, texts_of
+from linform.llm.common import arrow_map, connected_components, materialise, redealt, texts_of
 
 BITS, SEED = 64, 42
 #: Members of a bucket that one task compares; lanes of one block of planes; shingles hashed at a time.
@@ -206,5 +206,5 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     members = connected_components(fingerprint_links(distinct.select("fp"), radius))
     rooted = distinct.join(members, F.col("fp") == F.col("node"), "left").withColumn("root", F.coalesce("root", "fp"))
     least = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
-    named = rooted.join(least, "root").select("fp", "component_id")
+    named = rooted.join(redealt(least, "root"), "root").select("fp", "component_id")
     return each.join(named, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")

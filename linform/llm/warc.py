@@ -29,7 +29,7 @@ from pyarrow import fs
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from linform.llm.common import materialise, new_path
+from linform.llm.common import materialise, new_path, redealt
 
 # The format's version line and names.
 VERSION, DATE = b"WARC/1.1\r\n", "2024-01-01T00:00:00Z"
@@ -196,7 +196,7 @@ def assign_records(pages: DataFrame, least_bytes: int = 0) -> DataFrame:
     pages = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", F.coalesce(F.col("html").cast("string"), F.lit("")).alias("html")).withColumn("sum", F.unhex(F.sha2("html", 256)))
     keys = pages.where(F.octet_length("html") >= least_bytes).select("page_id", "sum")
     groups = keys.groupBy("sum").agg(F.max("page_id").alias("refers_to"), F.count("*").alias("n")).where("n > 1 and refers_to is not null").drop("n")
-    others = keys.join(groups, "sum").where(~F.col("page_id").eqNullSafe(F.col("refers_to"))).distinct()
+    others = keys.join(redealt(groups, "sum"), "sum").where(~F.col("page_id").eqNullSafe(F.col("refers_to"))).distinct()
     others = others.select(F.coalesce("page_id", F.lit(-(2**63))).alias("kid"), F.col("sum"), "refers_to")
     joined = pages.withColumn("kid", F.coalesce("page_id", F.lit(-(2**63)))).join(others, ["kid", "sum"], "left")
     return joined.select("page_id", "url", "html", F.col("refers_to").isNotNull().alias("revisit"), "refers_to")
