@@ -18,20 +18,23 @@ an empty result. Columns of the same names as those added are replaced.
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from linform.llm.common import materialise, texts_of
-from linform.llm.quality import LEAST_STEPS, Featurizer, Ftrl
+from linform.llm.quality import LEAST_STEPS, Ftrl, sampled
 
-#: Bits of the feature space; bound of the training sample; passes over it; rows in a batch out.
-SPACE, MAX_LABELLED, PASSES, ROWS = 16, 12_000, 2, 512
+#: Bits of the feature space; bound of the training sample; passes over it; rows in a batch out; words kept.
+SPACE, MAX_LABELLED, PASSES, ROWS, KEPT_WORDS = 16, 12_000, 3, 512, 200_000
 #: Steps at most, the miss at which they end (share of the total), the pull towards rate one.
 STEPS, ENOUGH, PULL = 40, 1e-3, 1e-3
+_MARKS = re.compile(r"\W*\Z")
 LANGUAGES = ("de", "en", "es", "fr")
 DOMAINS = (*(f"clean {x}" for x in LANGUAGES), "low", "toxic")
 
@@ -42,33 +45,57 @@ def labelled_domain() -> Column:
     return F.when(name.isin(*DOMAINS), name)
 
 
-def train(labelled: DataFrame, domains: tuple[str, ...] = DOMAINS, max_labelled: int = MAX_LABELLED, passes: int = PASSES, space: int = SPACE) -> np.ndarray:
-    """(doc_id, text, domain) -> a row of weights for each domain, learned in one task from a bounded sample."""
-    order = F.xxhash64("doc_id")
-    known = labelled.where("domain is not null")
-    # bounded by max_labelled ids, so the sample's texts are picked by a broadcast of ids
-    ids = known.select("doc_id", order.alias("h")).orderBy("h", "doc_id").limit(max_labelled).select("doc_id").distinct()
-    rows = known.join(F.broadcast(ids), "doc_id", "left_semi").select(order.alias("h"), "doc_id", "domain", "text").repartition(1).sortWithinPartitions("h", "doc_id", "domain")
+class WordFeatures(dict):
+    """Two feature numbers of a word, its own and its shape's, in one integer; starts afresh when full."""
+
+    def __init__(self, space: int):
+        super().__init__()
+        self.space, self.mask = space, (1 << space) - 1
+
+    def __missing__(self, word: str) -> int:
+        kind = "U" if word.isupper() and len(word) > 1 else "T" if word[0].isupper() else "l"
+        shape = f"{kind}{min(len(word), 40).bit_length()}{_MARKS.search(word)[0][:3]}"
+        first = xxhash.xxh64_intdigest(word.lower().encode("utf-8", "surrogatepass"), 1) & self.mask
+        second = xxhash.xxh64_intdigest(shape.encode("utf-8", "surrogatepass"), 2) & self.mask
+        if len(self) >= KEPT_WORDS:
+            self.clear()
+        self[word] = first << self.space | second
+        return self[word]
+
+    def of(self, text: str) -> tuple[np.ndarray, int]:
+        """Feature numbers of all words, repeats included, and the number of words. A word that follows itself has
+        another shape."""
+        words = text.split()
+        both = np.fromiter(map(self.__getitem__, words), np.int64, len(words))
+        shape = both & self.mask
+        shape[1:][both[1:] == both[:-1]] ^= 0x55
+        return np.concatenate([both >> self.space, shape]), len(words)
+
+
+def train(docs: DataFrame, known: DataFrame, domains: tuple[str, ...] = DOMAINS, max_labelled: int = MAX_LABELLED, passes: int = PASSES, space: int = SPACE) -> np.ndarray:
+    """(doc_id, text) and (doc_id, domain) -> a column of weights for each domain, learned from a bounded sample."""
+    rows = sampled(docs, known, "domain", max_labelled)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        features, models, kept = Featurizer(space), [Ftrl(space) for _ in domains], []
+        features, models, kept = WordFeatures(space), [Ftrl(space) for _ in domains], []
         for batch in batches:
             for i, domain in enumerate(batch.column(2).to_pylist()):
                 if len(kept) < max_labelled:
-                    at, value = features(batch.column(3)[i].as_py() or "")
-                    kept.append((np.append(at, 1 << space).astype(np.int32), np.append(value, 1).astype(np.float32), domains.index(domain)))
+                    found, words = features.of(batch.column(3)[i].as_py() or "")
+                    at, n = np.unique(found, return_counts=True)
+                    kept.append((np.append(at, 1 << space).astype(np.int32), np.append(n / np.sqrt(max(words, 1)), 1).astype(np.float32), domains.index(domain)))
         for _ in range(max(passes, LEAST_STEPS // max(1, len(kept)))):
             for at, value, label in kept:
                 for d, model in enumerate(models):
                     model.learn(at, value.astype(float), int(d == label))
-        yield pa.RecordBatch.from_pydict({"w": pa.array([np.stack([m.weights() for m in models]).astype(np.float32).tobytes()], pa.binary())})
+        yield pa.RecordBatch.from_pydict({"w": pa.array([np.stack([m.weights() for m in models], axis=1).astype(np.float32).tobytes()], pa.binary())})
 
     made = rows.mapInArrow(run, "w binary").collect()  # one row of fixed size
     n = (1 << space) + 1
-    return np.frombuffer(made[0].w, np.float32).reshape(len(domains), n) if made else np.zeros((len(domains), n), np.float32)
+    return np.frombuffer(made[0].w, np.float32).reshape(n, len(domains)) if made else np.zeros((n, len(domains)), np.float32)
 
 
-_FEATURIZERS: dict[int, Featurizer] = {}
+_FEATURES: dict[int, WordFeatures] = {}
 
 
 def posteriors(docs: DataFrame, weights: np.ndarray, text_col: str = "text") -> DataFrame:
@@ -76,19 +103,19 @@ def posteriors(docs: DataFrame, weights: np.ndarray, text_col: str = "text") ->
     shared = docs.sparkSession.sparkContext.broadcast(weights)
     kept = [c for c in docs.columns if c not in ("tokens", "posterior")]
     asked = docs.select(*kept, F.col(text_col).cast("string").alias("_asked"))
-    space = (weights.shape[1] - 1).bit_length() - 1
+    space = (weights.shape[0] - 1).bit_length() - 1
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        w = shared.value.astype(float)
-        features = _FEATURIZERS.setdefault(space, Featurizer(space))
+        w, features = shared.value, _FEATURES.setdefault(space, WordFeatures(space))
         for whole in batches:
             for start in range(0, whole.num_rows, ROWS):
                 batch = whole.slice(start, ROWS)
                 tokens, made = [], []
                 for text in texts_of(batch.column(len(kept))):
-                    at, value = features(text)
-                    likely = 1 / (1 + np.exp(-np.clip(w[:, at] @ value + w[:, -1], -30, 30)))
-                    tokens.append(len(text.split()))
+                    at, words = features.of(text)
+                    score = w[at].sum(axis=0, dtype=float) / np.sqrt(max(words, 1)) + w[-1]
+                    likely = 1 / (1 + np.exp(-np.clip(score, -30, 30)))
+                    tokens.append(words)
                     made.append(likely / likely.sum())
                 yield pa.RecordBatch.from_arrays([*batch.columns[: len(kept)], pa.array(tokens, pa.int64()), pa.array(made, pa.list_(pa.float64()))], names=[*kept, "tokens", "posterior"])
 
@@ -131,7 +158,7 @@ def fit_moves(docs: DataFrame, target: np.ndarray, pull: float = PULL, steps: in
         found = np.array([x or 0.0 for x in parts.agg(*(F.sum(f"t{d}") for d in range(n))).first()])
         miss = (found - target) / total
         misses.append(float(np.abs(miss).sum()))
-        if misses[-1] < enough or (len(misses) > 5 and misses[-6] - misses[-1] < 1e-5):
+        if misses[-1] < enough or (len(misses) > 5 and misses[-6] - misses[-1] < 0.01 * misses[-1]):
             break
         moves = np.vstack([moves, miss / share])
     return moves, step, misses
@@ -157,15 +184,15 @@ def copies(rate: Column, id_col: str = "doc_id") -> Column:
     return (F.floor(rate) + (chance < rate - F.floor(rate)).cast("long")).cast("int")
 
 
-def mix(docs: DataFrame, labelled: DataFrame, weights: dict[str, float] | None = None, temper: float = 0.7, toxic: float = 0.0, low: float = 0.5, keep_clean: bool = False, domains: tuple[str, ...] = DOMAINS) -> DataFrame:
+def mix(docs: DataFrame, classifier: np.ndarray, weights: dict[str, float] | None = None, temper: float = 0.7, toxic: float = 0.0, low: float = 0.5, keep_clean: bool = False, domains: tuple[str, ...] = DOMAINS) -> DataFrame:
     """docs with tokens, posterior, floor, rate and copies.
 
-    labelled: (doc_id, text, domain). weights: target share of each domain; where none are given, clean domains
+    classifier: as train gives it. weights: target share of each domain; where none are given, clean domains
     get their shares to the power `temper`, and toxic and low domains these multiples of theirs. The total is
     what the documents have; with keep_clean it is as large as no clean domain has to shrink, and documents that
     are likelier clean than not have a floor of one.
     """
-    made = posteriors(docs, train(labelled, domains))
+    made = posteriors(docs, classifier)
     clean = [d for d, name in enumerate(domains) if name.startswith("clean")]
     mass = sum((F.col("posterior")[d] for d in clean), F.lit(0.0))
     made = made.withColumn("floor", F.when(F.lit(keep_clean) & (mass >= 0.5), 1.0).otherwise(0.0))
@@ -188,6 +215,7 @@ def mix(docs: DataFrame, labelled: DataFrame, weights: dict[str, float] | None =
     return with_rates(made, moves, step).withColumn("copies", copies(F.col("rate")))
 
 
-def labelled_rows(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """(doc_id, text, domain) of documents that the labels table knows."""
-    return docs.select("doc_id", "text", "lang").join(labels.select("doc_id", "quality", "toxic"), "doc_id").select("doc_id", "text", labelled_domain().alias("domain"))
+def known_domains(docs: DataFrame, labels: DataFrame) -> DataFrame:
+    """(doc_id, domain) of documents that the labels table knows."""
+    both = docs.select("doc_id", "lang").join(labels.select("doc_id", "quality", "toxic"), "doc_id")
+    return both.select("doc_id", labelled_domain().alias("domain"))

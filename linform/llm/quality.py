@@ -87,14 +87,20 @@ class Ftrl:
         self.n[at] += g * g
 
 
-def train(labelled: DataFrame, max_labelled: int = MAX_LABELLED, passes: int = PASSES, space: int = SPACE) -> np.ndarray:
-    """(doc_id, text, label) -> weights, learned in one task from at most max_labelled rows of least id hash."""
+def sampled(docs: DataFrame, known: DataFrame, label: str, max_labelled: int) -> DataFrame:
+    """(h, doc_id, label, text) of at most max_labelled labels of least id hash, in one partition in that order.
+
+    The sample is drawn from (doc_id, label) alone, so it is bounded before it is broadcast to the documents.
+    """
     order = F.xxhash64("doc_id")
-    bound = labelled.where("label is not null").select("doc_id", "label", order.alias("h")).orderBy("h", "doc_id", "label").limit(max_labelled)
-    # bounded by max_labelled ids, so the sample's texts are picked by a broadcast of ids
-    ids = bound.select("doc_id").distinct()
-    texts = labelled.where("label is not null").join(F.broadcast(ids), "doc_id", "left_semi")
-    rows = texts.select(order.alias("h"), "doc_id", F.col("label").cast("int").alias("label"), "text").repartition(1).sortWithinPartitions("h", "doc_id", "label")
+    ids = known.where(F.col(label).isNotNull()).select(order.alias("h"), "doc_id", label).orderBy("h", "doc_id", label).limit(max_labelled)
+    rows = docs.select("doc_id", F.col("text").cast("string").alias("text")).join(F.broadcast(ids), "doc_id")
+    return rows.select("h", "doc_id", label, "text").repartition(1).sortWithinPartitions("h", "doc_id", label)
+
+
+def train(docs: DataFrame, known: DataFrame, max_labelled: int = MAX_LABELLED, passes: int = PASSES, space: int = SPACE) -> np.ndarray:
+    """(doc_id, text) and (doc_id, label) -> weights, learned in one task from at most max_labelled labels."""
+    rows = sampled(docs, known.withColumn("label", F.col("label").cast("int")), "label", max_labelled)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         features, model, kept = Featurizer(space), Ftrl(space), []
@@ -148,13 +154,12 @@ def held_out(id_col: str = "doc_id"):
     return F.coalesce(F.pmod(F.crc32(F.col(id_col).cast("string").cast("binary")), F.lit(5)) == 0, F.lit(False))
 
 
-def labelled_rows(docs: DataFrame, labels: DataFrame, label_col: str) -> DataFrame:
-    """(doc_id, text, label) of the labelled rows that may be learned from."""
-    known = labels.select("doc_id", F.col(label_col).alias("label")).where(~held_out())
-    return docs.select("doc_id", "text").join(known, "doc_id")
+def known_labels(labels: DataFrame, label_col: str) -> DataFrame:
+    """(doc_id, label) of the labels that may be learned from."""
+    return labels.select("doc_id", F.col(label_col).alias("label")).where(~held_out())
 
 
 def classify(docs: DataFrame, labels: DataFrame, threshold: float = 0.3, max_labelled: int = MAX_LABELLED) -> DataFrame:
     """All columns of docs and held_out, score, predicted."""
-    weights = train(labelled_rows(docs, labels, "quality"), max_labelled)
+    weights = train(docs, known_labels(labels, "quality"), max_labelled)
     return score(docs, weights).withColumn("held_out", held_out()).withColumn("predicted", (F.col("score") >= threshold).cast("int"))

@@ -62,8 +62,8 @@ def op8_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
-    known = mixing.labelled_rows(docs, table(spark, sf_dir, "labels"))
-    mixed = mixing.mix(docs.select("doc_id", "text"), known)
+    weights = mixing.train(docs, mixing.known_domains(docs, table(spark, sf_dir, "labels")))
+    mixed = mixing.mix(docs.select("doc_id", "text"), weights)
     likeliest = F.array_position("posterior", F.array_max("posterior")).cast("int")
     return mixed.select("doc_id", "tokens", F.element_at(F.array(*map(F.lit, mixing.DOMAINS)), likeliest).alias("domain"), "rate", "copies", "posterior")
 

@@ -45,8 +45,9 @@ def test_mix(spark):
         known.append((i, rows[-1][1], name))
     rows += [(9000, None, 0.0), (9001, "", 0.0), (None, "the of", 0.0), (5, rows[5][1], 0.0), (9002, "the of " * 100_000, 0.0)]
     docs = spark.createDataFrame(rows, "doc_id long, text string, rate double").repartition(3)
-    labelled = spark.createDataFrame([*known, (9001, "", None)], "doc_id long, text string, domain string").where("doc_id % 2 = 0")
-    got = M.mix(docs, labelled).collect()
+    labelled = spark.createDataFrame([*((d, n) for d, _, n in known), (9001, None)], "doc_id long, domain string").where("doc_id % 2 = 0")
+    learned = M.train(docs, labelled)
+    got = M.mix(docs, learned).collect()
     assert len(got) == len(rows)
     assert all(r.rate >= 0 and abs(sum(r.posterior) - 1) < 1e-9 for r in got)
     truth = {d: n for d, _, n in known}
@@ -54,8 +55,8 @@ def test_mix(spark):
     assert np.mean(out) > 0.95
     assert np.mean([r.rate for r in got if truth.get(r.doc_id) == "toxic"]) < 0.1
     assert np.mean([r.rate for r in got if truth.get(r.doc_id) == "clean fr"]) > 1.1 * np.mean([r.rate for r in got if truth.get(r.doc_id) == "clean en"])
-    kept = M.mix(docs, labelled, keep_clean=True).collect()
+    kept = M.mix(docs, learned, keep_clean=True).collect()
     assert all(r.copies >= 1 for r in kept if truth.get(r.doc_id, "").startswith("clean"))
-    assert M.mix(docs.limit(0), labelled).count() == 0
-    even = M.mix(docs.limit(5), labelled.limit(0)).collect()
+    assert M.mix(docs.limit(0), learned).count() == 0
+    even = M.mix(docs.limit(5), M.train(docs, labelled.limit(0))).collect()
     assert all(np.allclose(r.posterior, 1 / 6) for r in even)

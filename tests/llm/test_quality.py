@@ -39,7 +39,7 @@ def test_held_out_labels_change_nothing(spark):
     from pyspark.sql import functions as F
 
     flipped = labels.withColumn("quality", F.when(Q.held_out(), 1 - F.col("quality")).otherwise(F.col("quality")))
-    a, b = (Q.train(Q.labelled_rows(docs, x, "quality")) for x in (labels, flipped))
+    a, b = (Q.train(docs, Q.known_labels(x, "quality")) for x in (labels, flipped))
     assert np.array_equal(a, b) and np.abs(a).sum() > 0
 
 
