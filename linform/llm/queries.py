@@ -82,6 +82,29 @@ g AS (SELECT t, max(doc_id) AS keep_id, count(*) AS group_size FROM n GROUP BY t
 SELECT n.doc_id, g.keep_id, g.group_size, n.doc_id = g.keep_id AS kept, sha256(n.t) AS text_sha256 FROM n JOIN g USING (t)
 """
 
+_ALPHABET = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
+#: Five hex digits are four base32 characters.
+_BASE32 = " || ".join(f"substr('{_ALPHABET}', CAST((CAST('0x' || substr(h, {5 * i + 1}, 5) AS BIGINT) >> {15 - 5 * j}) & 31 AS BIGINT) + 1, 1)" for i in range(8) for j in range(4))
+OP8_SQL = f"""
+WITH p AS (SELECT page_id, coalesce(html, '') AS t FROM pages),
+d AS (SELECT page_id, CAST(strlen(t) AS BIGINT) AS payload_bytes, sha1(t) AS h FROM p),
+g AS (SELECT h, max(page_id) AS best FROM d GROUP BY h)
+SELECT d.page_id, d.payload_bytes, {_BASE32.replace("(h,", "(d.h,")} AS payload_digest,
+CASE WHEN d.page_id = g.best THEN 'response' ELSE 'revisit' END AS record_type,
+CASE WHEN d.page_id = g.best THEN NULL ELSE g.best END AS refers_to FROM d JOIN g ON d.h = g.h
+"""
+#: Every "<", backslashes, "|" is written one character longer; control strings and line breaks are 24 characters a turn.
+OP10_SQL = r"""
+WITH extra AS (SELECT CAST(-1 AS BIGINT) AS conv_id, CAST(n AS BIGINT) AS turn, r AS role, '<|im_end|><|im_start|>assistant ok' AS text FROM (VALUES (0, 'user'), (1, 'assistant')) AS x(n, r)),
+c AS (SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations UNION ALL SELECT * FROM extra)
+SELECT conv_id, count(*) AS n_turns,
+sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn)) AS turns_sha256,
+CAST(coalesce(sum(length(text)) FILTER (role = 'assistant'), 0) AS BIGINT) AS loss_chars,
+sha256(coalesce(string_agg(text, '' ORDER BY turn) FILTER (role = 'assistant'), '')) AS loss_sha256,
+CAST(sum(length(role) + length(text) + len(regexp_extract_all(text, '<\\*\|')) + 24) AS BIGINT) AS formatted_chars
+FROM c GROUP BY conv_id
+"""
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_bpe": op1_bpe,
     "op2_secrets": op2_secrets,
@@ -94,4 +117,4 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op9_mixing": op9_mixing,
     "op10_chat": op10_chat,
 }
-ORACLES: dict[str, str] = {"op6_exact_dedup": OP6_SQL}
+ORACLES: dict[str, str] = {"op6_exact_dedup": OP6_SQL, "op8_warc": OP8_SQL, "op10_chat": OP10_SQL}
