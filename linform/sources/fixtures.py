@@ -73,7 +73,6 @@ FIXTURES: dict[str, Fixture] = {
     "hour_sig": _both(1, "SELECT {hours:ts:2024-01-01} AS c0, cast(sum(cast(round(value * 100) as bigint)) as bigint) AS ann FROM events GROUP BY 1"),
     "kern24": _literal([(t, KERNEL_HOURS - t) for t in range(KERNEL_HOURS)]),
     "user_k": _both(2, "SELECT user_id AS c0, {json:props:k} AS c1, count(*) AS ann FROM events GROUP BY 1, 2"),
-    "k_user": _both(2, "SELECT {json:props:k} AS c0, user_id AS c1, count(*) AS ann FROM events GROUP BY 1, 2"),
     "img_sq": _counted(["l_suppkey", "l_quantity"], "lineitem"),
     "emb8": Fixture(
         3,

@@ -71,7 +71,7 @@ class Workload:
 _SKEW = {"A": "skew_a", "B": "skew_b", "C": "skew_c"}
 _TRIANGLE = {"R": "sup_part", "S": "part_cus", "T": "sup_cus"}
 _QUAD = {"A": "tax", "B": "disc", "C": "qty", "D": "size"}
-_FIVE = {"R1": "skew_c", "R2": "mod7", "R3": "mod7b", "R4": "k_user", "R5": "skew_c"}
+_FIVE = {"R1": "skew_c", "R2": "mod7", "R3": "mod7b", "R4": "user_k", "R5": "skew_c"}
 _MIN_PLUS = dict(semiring=S.MIN_PLUS, ann="CAST(min({plus}) AS BIGINT)")
 _EXISTS = dict(semiring=S.BOOLEAN, ann="count(*) > 0")
 
