@@ -94,15 +94,18 @@ class Database:
     def plus(self, more: dict[str, AnnotatedRelation]) -> Database:
         return Database({**self.relations, **more}, self.semiring, self.field)
 
-    def stats(self, names: Iterable[str] | None = None) -> dict[str, dict]:
-        """size, distinct values by column and largest absolute value of relations, one job for those not known yet."""
+    def stats(self, names: Iterable[str] | None = None, exact: bool = False) -> dict[str, dict]:
+        """size, distinct values by column and largest absolute value of relations, one job for those not known yet.
+
+        Distinct values are estimated by sketches (one pass, no exchange of values) unless exact ones are asked for.
+        """
         names = list(dict.fromkeys(names or self.relations))
-        ask = [n for n in names if n not in self._stats]
+        ask = [n for n in names if (n, exact) not in self._stats]
         if ask:
             parts = None
             for n in ask:
                 r = self.relations[n]
-                cols = [F.count_distinct(k) for k in r.keys]
+                cols = [F.count_distinct(k) if exact else F.approx_count_distinct(k) for k in r.keys]
                 most = [F.max(F.abs(F.col(k))) for k in r.keys]
                 one = r.df.agg(
                     F.lit(n).alias("name"), F.count("*").alias("size"),
@@ -111,5 +114,5 @@ class Database:
                 )
                 parts = one if parts is None else parts.unionAll(one)
             for row in parts.collect():  # one row a relation
-                self._stats[row.name] = {"size": row["size"], "distinct": list(row["distinct"]), "most": row["most"]}
-        return {n: self._stats[n] for n in names}
+                self._stats[row.name, exact] = {"size": row["size"], "distinct": list(row["distinct"]), "most": row["most"]}
+        return {n: self._stats[n, exact] for n in names}

@@ -10,6 +10,8 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from linform.sources.shared import written
+
 Reducts = list[tuple[DataFrame, list[int]]]
 
 
@@ -22,7 +24,8 @@ def levelwise(reducts: Reducts, order: list[int]) -> DataFrame:
     """Bind one column after another. Each binding is prolonged by the reduct that offers it the fewest values, and
     the other reducts filter, so no level holds more rows than the size bound of the query it answers.
 
-    The rows are split by their cheapest reduct before the joins, so none is dealt to a reduct that it doesn't use.
+    The rows are split by their cheapest reduct before the joins, so none is dealt to a reduct that it doesn't use;
+    the bindings are written before the split, so deep queries do not run their first levels again and again.
     """
     bound: list[int] = []
     state: DataFrame | None = None
@@ -53,6 +56,7 @@ def _prolong(state: DataFrame, offers: list[tuple[DataFrame, list[int]]], t: int
         counted = state
         for s, ((offer, _), on) in enumerate(zip(tied, names, strict=True)):
             counted = counted.join(offer.groupBy(*on).agg(F.count("*").alias(f"_n{s}")), on)
+        counted = written(counted, "bindings")  # each slice below reads it
         least = F.least(*(F.col(f"_n{s}") for s in range(len(tied))))
         taken, parts = F.lit(False), []
         for s, ((offer, _), on) in enumerate(zip(tied, names, strict=True)):
