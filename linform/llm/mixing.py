@@ -31,9 +31,12 @@ from linform.llm.common import materialise, texts_of
 from linform.llm.quality import LEAST_STEPS, Ftrl, sampled
 
 #: Bits of the feature space; bound of the training sample; passes over it; rows in a batch out; words kept.
-SPACE, MAX_LABELLED, PASSES, ROWS, KEPT_WORDS = 16, 12_000, 3, 512, 200_000
-#: Steps at most, the miss at which they end (share of the total), the pull towards rate one.
-STEPS, ENOUGH, PULL = 40, 1e-3, 1e-3
+SPACE, MAX_LABELLED, PASSES, ROWS, KEPT_WORDS = 16, 8_000, 3, 512, 200_000
+#: Steps at most, the miss at which they end (share of the total), the pull towards rate one. They also end when
+#: five steps lower the miss by less than SLOW of it: then what is left is out of reach of rates that are not negative.
+STEPS, ENOUGH, PULL, SLOW = 40, 1e-3, 1e-3, 0.15
+#: Characters of a word that make its feature (endings differ more than senses), learning rate of the classifier.
+STEM, RATE = 5, 0.4
 _MARKS = re.compile(r"\W*\Z")
 LANGUAGES = ("de", "en", "es", "fr")
 DOMAINS = (*(f"clean {x}" for x in LANGUAGES), "low", "toxic")
@@ -46,30 +49,40 @@ def labelled_domain() -> Column:
 
 
 class WordFeatures(dict):
-    """Two feature numbers of a word, its own and its shape's, in one integer; starts afresh when full."""
+    """Two feature numbers of a word, its stem and its shape's, in one integer; starts afresh when full."""
 
     def __init__(self, space: int):
         super().__init__()
         self.space, self.mask = space, (1 << space) - 1
+        self.shapes: dict[tuple[int, int, str], int] = {}
 
     def __missing__(self, word: str) -> int:
-        kind = "U" if word.isupper() and len(word) > 1 else "T" if word[0].isupper() else "l"
-        shape = f"{kind}{min(len(word), 40).bit_length()}{_MARKS.search(word)[0][:3]}"
-        first = xxhash.xxh64_intdigest(word.lower().encode("utf-8", "surrogatepass"), 1) & self.mask
-        second = xxhash.xxh64_intdigest(shape.encode("utf-8", "surrogatepass"), 2) & self.mask
+        marks = "" if word.isalpha() else _MARKS.search(word)[0][:3]
+        kind = 0 if word.islower() else 2 if len(word) > 1 and word.isupper() else 1 if word[0].isupper() else 0
+        found = (xxhash.xxh64_intdigest(word[:STEM].lower().encode("utf-8", "surrogatepass"), 1) & self.mask) << self.space
+        found |= self.shape(kind, min(len(word), 40).bit_length(), marks)
         if len(self) >= KEPT_WORDS:
             self.clear()
-        self[word] = first << self.space | second
-        return self[word]
-
-    def of(self, text: str) -> tuple[np.ndarray, int]:
-        """Feature numbers of all words, repeats included, and the number of words. A word that follows itself has
-        another shape."""
+        self[word] = found
+        return found
+
+    def shape(self, kind: int, size: int, marks: str) -> int:
+        known = self.shapes.get((kind, size, marks))
+        if known is None:
+            known = xxhash.xxh64_intdigest(f"{kind}{size}{marks}".encode("utf-8", "surrogatepass"), 2) & self.mask
+            if len(self.shapes) < KEPT_WORDS:
+                self.shapes[kind, size, marks] = known
+        return known
+
+    def of(self, text: str) -> tuple[np.ndarray, np.ndarray, int]:
+        """Feature numbers, their values (presence, so that a few telling words count in a long text) and the number
+        of words. A word that follows itself has another shape."""
         words = text.split()
         both = np.fromiter(map(self.__getitem__, words), np.int64, len(words))
         shape = both & self.mask
         shape[1:][both[1:] == both[:-1]] ^= 0x55
-        return np.concatenate([both >> self.space, shape]), len(words)
+        at = np.unique(np.concatenate([both >> self.space, shape]))
+        return at, np.full(len(at), 0.3), len(words)
 
 
 def train(docs: DataFrame, known: DataFrame, domains: tuple[str, ...] = DOMAINS, max_labelled: int = MAX_LABELLED, passes: int = PASSES, space: int = SPACE) -> np.ndarray:
@@ -77,13 +90,12 @@ def train(docs: DataFrame, known: DataFrame, domains: tuple[str, ...] = DOMAINS,
     rows = sampled(docs, known, "domain", max_labelled)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        features, models, kept = WordFeatures(space), [Ftrl(space) for _ in domains], []
+        features, models, kept = WordFeatures(space), [Ftrl(space, alpha=RATE) for _ in domains], []
         for batch in batches:
             for i, domain in enumerate(batch.column(2).to_pylist()):
                 if len(kept) < max_labelled:
-                    found, words = features.of(batch.column(3)[i].as_py() or "")
-                    at, n = np.unique(found, return_counts=True)
-                    kept.append((np.append(at, 1 << space).astype(np.int32), np.append(n / np.sqrt(max(words, 1)), 1).astype(np.float32), domains.index(domain)))
+                    at, value, _ = features.of(batch.column(3)[i].as_py() or "")
+                    kept.append((np.append(at, 1 << space).astype(np.int32), np.append(value, 1).astype(np.float32), domains.index(domain)))
         for _ in range(max(passes, LEAST_STEPS // max(1, len(kept)))):
             for at, value, label in kept:
                 for d, model in enumerate(models):
@@ -112,8 +124,8 @@ def posteriors(docs: DataFrame, weights: np.ndarray, text_col: str = "text") ->
                 batch = whole.slice(start, ROWS)
                 tokens, made = [], []
                 for text in texts_of(batch.column(len(kept))):
-                    at, words = features.of(text)
-                    score = w[at].sum(axis=0, dtype=float) / np.sqrt(max(words, 1)) + w[-1]
+                    at, value, words = features.of(text)
+                    score = value @ w[at] + w[-1]
                     likely = 1 / (1 + np.exp(-np.clip(score, -30, 30)))
                     tokens.append(words)
                     made.append(likely / likely.sum())
@@ -137,7 +149,7 @@ def domain_totals(docs: DataFrame, n: int) -> np.ndarray:
     return np.array([x or 0.0 for x in total])
 
 
-def fit_moves(docs: DataFrame, target: np.ndarray, pull: float = PULL, steps: int = STEPS, enough: float = ENOUGH) -> tuple[np.ndarray, float, list[float]]:
+def fit_moves(docs: DataFrame, target: np.ndarray, pull: float = PULL, steps: int = STEPS, enough: float = ENOUGH, slow: float = SLOW) -> tuple[np.ndarray, float, list[float]]:
     """(tokens, posterior, floor) and target totals -> the gradients, the step, and the miss before each."""
     n, now = len(target), domain_totals(docs, len(target))
     total = max(now.sum(), 1.0)
@@ -158,7 +170,7 @@ def fit_moves(docs: DataFrame, target: np.ndarray, pull: float = PULL, steps: in
         found = np.array([x or 0.0 for x in parts.agg(*(F.sum(f"t{d}") for d in range(n))).first()])
         miss = (found - target) / total
         misses.append(float(np.abs(miss).sum()))
-        if misses[-1] < enough or (len(misses) > 5 and misses[-6] - misses[-1] < 0.01 * misses[-1]):
+        if misses[-1] < enough or (len(misses) > 5 and misses[-6] - misses[-1] < slow * misses[-6]):
             break
         moves = np.vstack([moves, miss / share])
     return moves, step, misses

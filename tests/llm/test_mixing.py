@@ -14,7 +14,7 @@ def test_fit_equals_a_direct_solver(spark):
     now = M.domain_totals(df, 3)
     assert np.allclose(now, tokens @ p)
     target = now.sum() * np.array([0.2, 0.5, 0.3])
-    moves, step, misses = M.fit_moves(df, target, steps=200, enough=1e-4)
+    moves, step, misses = M.fit_moves(df, target, steps=200, enough=1e-4, slow=0.01)
     assert misses[-1] < 5e-3 < misses[0] and all(a >= b - 1e-9 for a, b in zip(misses, misses[1:], strict=False))
     rows = M.with_rates(df, moves, step).collect()
     r = np.array([x.rate for x in sorted(rows, key=lambda x: x.doc_id)])
