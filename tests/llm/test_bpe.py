@@ -22,11 +22,13 @@ def library():
 
 def texts():
     rng = random.Random(5)
-    pool = ["the", " the", "ing", "aaaa", "  ", "\n", "\t", "é", "ß", "日本", "🙂", "'s", "'ll", "1234", "#!", "<|endoftext|>", " <|endoftext|>", "Qu", "eau", "\x1c", "\x85", "　", "zzz", "é", "​", "٣", "_", "\r\n"]
+    pool = ["the", " the", "ing", "aaaa", "  ", "\n", "\t", "é", "ß", "日本", "🙂", "'s", "'ll", "1234", "#!", "<|endoftext|>", " <|endoftext|>", "Qu", "eau", "\x1c", "\x85", "　", "zzz", "é", "​", "٣", "_", "²", "½", "Ⅷ", "一", "\x1f", "ͅ", "𝟘", "a_b", "\r\n"]
     for _ in range(1500):
         yield "".join(rng.choice(pool) for _ in range(rng.randrange(12)))
     for _ in range(1500):
         yield "".join(chr(rng.choice([rng.randrange(32, 127), rng.randrange(97, 123), rng.randrange(160, 1500)])) for _ in range(rng.randrange(40)))
+    for _ in range(1500):
+        yield "".join(rng.choice(["the", " ", "\n", "\t", "\x0b", "\x1c", "\x1f", "'s", "'ll", "12", "_", "#!", "a", "\r"]) for _ in range(rng.randrange(12)))
     yield from ("", " ", "a" * 3001, " " * 2000, "ab" * 2500, "=" * 999, "<|endoftext|><|endoftext|>x")
 
 
