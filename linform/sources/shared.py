@@ -8,17 +8,25 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 
+_OWN: list[str] = []
+
+
 def shared_dir(spark: SparkSession) -> str:
-    """The folder in spark.checkpoint.dir; where that is unset, one of our own."""
+    """The folder in spark.checkpoint.dir; where that is unset, one of our own (local runs only)."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if found is None:
-        found = f"file://{tempfile.mkdtemp(prefix='linform-')}"
-        spark.conf.set("spark.checkpoint.dir", found)
+        if not _OWN:
+            _OWN.append(f"file://{tempfile.mkdtemp(prefix='linform-')}")
+        found = _OWN[0]
     return found.rstrip("/")
 
 
+def new_path(spark: SparkSession, name: str) -> str:
+    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+
+
 def written(df: DataFrame, name: str) -> DataFrame:
     """df written and read again: its plan is run once however often it is used, and lost executors cost no rerun."""
-    path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
+    path = new_path(df.sparkSession, name)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
