@@ -19,6 +19,7 @@ from linform.operators.relation import AnnotatedRelation, Database
 from linform.operators.wcoj import JOINS
 from linform.plans import covers, trees
 from linform.plans.query import Atom, Form, LinearQuery
+from linform.sources.shared import redealt
 
 
 def _finish(found: DataFrame, db: Database, head: list[tuple], drop_zero: bool) -> DataFrame:
@@ -42,6 +43,8 @@ def eval_guarded(q: LinearQuery, guard: R.Guard, db: Database, drop_zero: bool =
     for i, a in enumerate(q.atoms):
         rel = db[a.name]
         side = rel.df.select(*(F.col(k).alias(f"_k{i}_{j}") for j, k in enumerate(rel.keys)), F.col("ann").alias(f"_a{i}"))
+        if rel.arity and not rel.bucketed:
+            side = redealt(side, f"_k{i}_0")
         on = None
         for j, f in enumerate(a.forms):
             value, den = R.value_of(f, guard.basis, cols, q.field)

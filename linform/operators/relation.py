@@ -22,6 +22,8 @@ class AnnotatedRelation:
     df: DataFrame
     arity: int
     semiring: Semiring = COUNT
+    #: The frame is a bucketed table: joins on its buckets take it as it lies.
+    bucketed: bool = False
 
     @property
     def keys(self) -> list[str]:

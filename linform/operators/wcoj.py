@@ -10,7 +10,7 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from linform.sources.shared import written
+from linform.sources.shared import redealt, written
 
 Reducts = list[tuple[DataFrame, list[int]]]
 
@@ -25,7 +25,8 @@ def levelwise(reducts: Reducts, order: list[int]) -> DataFrame:
     the other reducts filter, so no level holds more rows than the size bound of the query it answers.
 
     The rows are split by their cheapest reduct before the joins, so none is dealt to a reduct that it doesn't use;
-    the bindings are written before the split, so deep queries do not run their first levels again and again.
+    the bindings are written before the split, so deep queries do not run their first levels again and again, and
+    every join deals both sides, so that adaptive execution can split hot prefixes.
     """
     bound: list[int] = []
     state: DataFrame | None = None
@@ -51,20 +52,20 @@ def _prolong(state: DataFrame, offers: list[tuple[DataFrame, list[int]]], t: int
         return state.crossJoin(values)
     names = [[f"b{i}" for i in on] for _, on in tied]
     if len(tied) == 1:
-        out = state.join(tied[0][0], names[0])
+        out = state.join(redealt(tied[0][0], names[0][0]), names[0])
     else:
         counted = state
         for s, ((offer, _), on) in enumerate(zip(tied, names, strict=True)):
-            counted = counted.join(offer.groupBy(*on).agg(F.count("*").alias(f"_n{s}")), on)
+            counted = counted.join(redealt(offer.groupBy(*on).agg(F.count("*").alias(f"_n{s}")), on[0]), on)
         counted = written(counted, "bindings")  # each slice below reads it
         least = F.least(*(F.col(f"_n{s}") for s in range(len(tied))))
         taken, parts = F.lit(False), []
         for s, ((offer, _), on) in enumerate(zip(tied, names, strict=True)):
             mine = counted.where((F.col(f"_n{s}") == least) & ~taken).select(*state.columns)
-            part = mine.join(offer, on)
+            part = mine.join(redealt(offer, on[0]), on)
             for u, ((other, _), with_) in enumerate(zip(tied, names, strict=True)):
                 if u != s:
-                    part = part.join(other, [*with_, f"b{t}"], "left_semi")
+                    part = part.join(redealt(other, with_[0]), [*with_, f"b{t}"], "left_semi")
             parts.append(part.select(*state.columns, f"b{t}"))
             taken = taken | (F.col(f"_n{s}") == least)
         out = reduce(DataFrame.unionByName, parts)

@@ -108,4 +108,4 @@ def write_parquet(result: DataFrame, path: str, by: str | None = None, buckets:
 def write_bucketed(relation: AnnotatedRelation, name: str, on: list[str], buckets: int = 64) -> AnnotatedRelation:
     """A table bucketed and sorted on keys, so that later joins on them need no exchange."""
     relation.df.write.mode("overwrite").bucketBy(buckets, *on).sortBy(*on).saveAsTable(name)
-    return AnnotatedRelation(relation.df.sparkSession.table(name), relation.arity, relation.semiring)
+    return AnnotatedRelation(relation.df.sparkSession.table(name), relation.arity, relation.semiring, bucketed=True)
