@@ -9,7 +9,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from linform.sources.shared import new_path
+from linform.sources.shared import new_path, redealt
 from linform.sources.shared import written as materialise
 
 __all__ = ["arrow_map", "connected_components", "materialise", "new_path", "redealt", "row_ids", "texts_of"]
@@ -36,16 +36,6 @@ def row_ids(start: int, n: int) -> pa.Array:
     return pa.array(range(base, base + n), pa.int64())
 
 
-def redealt(df: DataFrame, key: str) -> DataFrame:
-    """df with a long or binary key rewritten to itself, so that a join deals df anew by it.
-
-    A sum by the key leaves its rows dealt by it, a join would then take them as they are, and adaptive
-    execution could not split the tasks in which the other side has a hot key.
-    """
-    same = F.concat(F.col(key), F.unhex(F.lit(""))) if dict(df.dtypes)[key] == "binary" else F.col(key).bitwiseXOR(F.lit(0).cast("long"))
-    return df.withColumn(key, same)
-
-
 def texts_of(column: pa.Array) -> list[str]:
     """Texts as Python strings, null as the empty text."""
     return [x or "" for x in column.to_pylist()]
