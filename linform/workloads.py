@@ -190,12 +190,12 @@ def _duck(*names: str) -> str:
     return "WITH " + ", ".join(f"f_{n} AS ({FIXTURES[n].duck})" for n in names) + " "
 
 
-_TICKS = "SELECT user_id, CAST(floor(extract(epoch FROM ts)) AS BIGINT) AS t, event_id FROM events"
+_TICKS = "SELECT user_id, CAST(floor(extract(epoch FROM ts)) AS BIGINT) AS t, event_id, event_type FROM events"
 
 
 def _event_ticks(spark: SparkSession, d: str) -> DataFrame:
     at = F.timestamp_diff("SECOND", F.lit("1970-01-01 00:00:00").cast("timestamp_ntz"), F.col("ts"))
-    return tables.table(spark, d, "events").select("user_id", at.alias("t"), "event_id")
+    return tables.table(spark, d, "events").select("user_id", at.alias("t"), "event_id", "event_type")
 
 
 def _windows(spark: SparkSession, d: str, size: str, slide: str | None = None) -> DataFrame:
@@ -205,9 +205,10 @@ def _windows(spark: SparkSession, d: str, size: str, slide: str | None = None) -
 
 
 def _as_of(s: SparkSession, d: str) -> DataFrame:
+    """Each event with the time of its user's latest purchase at or before it."""
     e = _event_ticks(s, d)
-    right = e.where("event_id % 2 = 1").select("user_id", "t", F.col("t").alias("t_before"))
-    return relational.as_of(e.where("event_id % 2 = 0"), right, "user_id", "t", "t_before").select("user_id", "t", "event_id", "t_before_as_of")
+    right = e.where("event_type = 'purchase'").select("user_id", "t", F.col("t").alias("t_before"))
+    return relational.as_of(e, right, "user_id", "t", "t_before").select("user_id", "t", "event_id", "t_before_as_of")
 
 
 SINGLE: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None]] = {
@@ -229,7 +230,7 @@ SINGLE: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None]] =
     "roll_up": (lambda s, d: relational.roll_up(relation(s, d, "mod7").df, ["c0", "c1"], F.sum("ann")), _duck("mod7") + "SELECT c0, c1, CAST(sum(ann) AS BIGINT) AS ann FROM f_mod7 GROUP BY ROLLUP (c0, c1)"),
     "cube": (lambda s, d: relational.cube(relation(s, d, "mod7").df, ["c0", "c1"], F.sum("ann")), _duck("mod7") + "SELECT c0, c1, CAST(sum(ann) AS BIGINT) AS ann FROM f_mod7 GROUP BY CUBE (c0, c1)"),
     "conv1d_hours__window": (lambda s, d: relational.window_kernel(_sig(s, d), [fixtures.KERNEL_HOURS - t for t in range(fixtures.KERNEL_HOURS)], 0, 30 * 24 + 24), WORKLOADS["conv1d_hours"].sql()),
-    "as_of_lag": (_as_of, f"WITH e AS ({_TICKS}) SELECT l.user_id, l.t, l.event_id, (SELECT max(r.t) FROM e r WHERE r.user_id = l.user_id AND r.event_id % 2 = 1 AND r.t <= l.t) AS t_before_as_of FROM e l WHERE l.event_id % 2 = 0"),
+    "as_of_lag": (_as_of, f"WITH e AS ({_TICKS}) SELECT l.user_id, l.t, l.event_id, (SELECT max(r.t) FROM e r WHERE r.user_id = l.user_id AND r.event_type = 'purchase' AND r.t <= l.t) AS t_before_as_of FROM e l"),
     "range_pairs": (lambda s, d: relational.range_join(_event_ticks(s, d), _event_ticks(s, d), "user_id", "t", 3600).groupBy("user_id").agg(F.count("*").alias("n")), f"WITH e AS ({_TICKS}) SELECT a.user_id, count(*) AS n FROM e a JOIN e b ON a.user_id = b.user_id AND abs(a.t - b.t) <= 3600 GROUP BY 1"),
     "sessions": (lambda s, d: relational.sessions(_event_ticks(s, d), "user_id", "t", 86_400), f"WITH e AS ({_TICKS}), g AS (SELECT *, CASE WHEN t - lag(t) OVER (PARTITION BY user_id ORDER BY t) <= 86400 THEN 0 ELSE 1 END AS b FROM e), k AS (SELECT *, sum(b) OVER (PARTITION BY user_id ORDER BY t ROWS UNBOUNDED PRECEDING) AS s FROM g) SELECT user_id, min(t) AS \"first\", max(t) AS \"last\", count(*) AS n FROM k GROUP BY user_id, s"),
     "tumbling_windows": (lambda s, d: _windows(s, d, "1 day"), "SELECT CAST(floor(extract(epoch FROM ts) / 86400) * 86400 AS BIGINT) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2"),
