@@ -1,9 +1,10 @@
+import os
 import sys
 
 import public_tokenizers
 from tokenizers import Tokenizer
 
-sys.path.insert(0, "tests/llm")
+sys.path.insert(0, os.path.dirname(os.path.abspath(__file__)))
 
 import corpus_pipeline as P
 from linform.llm import simhash
