@@ -100,6 +100,8 @@ FIXTURES: dict[str, Fixture] = {
     "wedge": _both(3, "SELECT cast(l_suppkey % 20 as bigint) AS c0, cast(l_partkey % 20 as bigint) AS c1, cast((sum(l_linenumber) + cast(sum(l_quantity) as bigint)) % 11 - 5 as bigint) AS c2, cast(1 as bigint) AS ann FROM lineitem GROUP BY 1, 2"),
     "mod7": _counted(["l_suppkey % 7", "l_partkey % 7"], "lineitem"),
     "mod7b": _counted(["l_orderkey % 7", "l_linenumber % 7"], "lineitem"),
+    "mod4": _counted(["l_suppkey % 4", "l_partkey % 4"], "lineitem"),
+    "mod4b": _counted(["l_orderkey % 4", "l_linenumber % 4"], "lineitem"),
     **{f"len_{x}": _counted(["n_chars"], "documents", f"lang = '{x}'") for x in ("en", "fr", "de", "es")},
     "bag_a": _literal([(1, 1), (2, 3), (3, 4), (4, 5)]),
     "bag_b": _literal([(-1, 0, 1), (0, -1, 5), (0, 1, 3)]),

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from linform.functions import semirings as S
-from linform.functions.fields import PrimeField, Q
+from linform.functions.fields import ExtensionField, PrimeField, Q
 from linform.operators import evaluate as E
 from linform.operators import reducts, relational
 from linform.operators.relation import AnnotatedRelation, Database
@@ -211,11 +211,34 @@ def _as_of(s: SparkSession, d: str) -> DataFrame:
     return relational.as_of(e, right, "user_id", "t", "t_before").select("user_id", "t", "event_id", "t_before_as_of")
 
 
+def threesum_witness(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The least sum of three values with the values that make it: annotations carry costs and witnesses."""
+    w, s = WORKLOADS["threesum_count"], S.witness("bigint")
+    costs = F.struct(F.col("c0").alias("cost"), F.array("c0").alias("wit")).alias("ann")
+    db = Database({a: AnnotatedRelation(fixtures.frame(spark, sf_dir, f).select("c0", costs), 1, s) for a, f in w.atoms.items()}, s)
+    got = E.eval_sparse(w.query(), db, drop_zero=True)
+    return got.select(F.col("ann.cost").alias("cost"), *(F.col("ann.wit")[i].alias(n) for i, n in enumerate("xyz")))
+
+
+def gf4_conv(spark: SparkSession, sf_dir: str, run=E.eval_finite_field) -> DataFrame:
+    """Sums of elements of GF(4), codes 0..3; the first element is multiplied by the field's generator (code 2)."""
+    q = parse_query("Q(2A+B) <- M(A,C)*N(A+C,B)", ExtensionField(2, 2))
+    return run(q, Database({"M": relation(spark, sf_dir, "mod4"), "N": relation(spark, sf_dir, "mod4b")}, field=q.field))
+
+
+#: Codes of twice an element of GF(4), by its code.
+_GF4_DOUBLE = "list_value(0, 2, 3, 1)"
+_GF4_SQL = "SELECT CAST(xor({d}[m.c0 + 1], n.c1) AS BIGINT) AS h0, CAST(sum(m.ann * n.ann) AS BIGINT) AS ann FROM f_mod4 m JOIN f_mod4b n ON n.c0 = xor(m.c0, m.c1) GROUP BY 1"
+
+
 SINGLE: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None]] = {
     "reduct_14": (reduct_example, _duck("sup_qty_line") + "SELECT DISTINCT c0 - c1 AS r0, c0 - 2 * c1 AS r1 FROM f_sup_qty_line"),
     "measures": (measure_table, "SELECT * FROM (VALUES " + ", ".join(f"('{n}', CAST({k} AS INTEGER), " + ", ".join(f"CAST({x} AS DOUBLE)" for x in rest) + ")" for n, (_, k, *rest) in EXPONENTS.items()) + ") AS t(name, k, rho, dim_width, vec_width, frac_width)"),
     "adversarial_messages": (adversarial_messages, None),
     "query_report": (query_report, None),
+    "threesum_witness": (threesum_witness, _duck("sup_cents", "cus_cents", "ord_cents") + "SELECT a.c0 + b.c0 + c.c0 AS cost, a.c0 AS x, b.c0 AS y, c.c0 AS z FROM f_sup_cents a, f_cus_cents b, f_ord_cents c WHERE c.c0 = a.c0 + b.c0 ORDER BY 1, 2, 3, 4 LIMIT 1"),
+    "gf4_conv": (gf4_conv, _duck("mod4", "mod4b") + _GF4_SQL.format(d=_GF4_DOUBLE)),
+    "gf4_conv__grid": (lambda s, d: gf4_conv(s, d, E.eval_grid), _duck("mod4", "mod4b") + _GF4_SQL.format(d=_GF4_DOUBLE)),
     **{f"constraints_atoms__{n}": (lambda s, d, n=n: _constrained(s, d, n, constraints_as_atoms), WORKLOADS[n].sql()) for n in ("linear_guard", "sum_equality5")},
     **{f"constraints_eliminated__{n}": (lambda s, d, n=n: _constrained(s, d, n, constraints_eliminated), WORKLOADS[n].sql()) for n in ("linear_guard", "sum_equality5")},
     "relation_union": (lambda s, d: relation(s, d, "skew_a").union(relation(s, d, "skew_b").transpose([1, 0])).df, _duck("skew_a", "skew_b") + "SELECT c0, c1, CAST(sum(ann) AS BIGINT) AS ann FROM (SELECT c0, c1, ann FROM f_skew_a UNION ALL SELECT c1, c0, ann FROM f_skew_b) AS t GROUP BY 1, 2"),
