@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Iterable
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 from dataclasses import field as slot
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from linform.functions.fields import Q
 from linform.functions.semirings import COUNT, Semiring
+from linform.sources.shared import written
 
 
 def keys_of(arity: int) -> list[str]:
@@ -96,6 +97,11 @@ class Database:
     def plus(self, more: dict[str, AnnotatedRelation]) -> Database:
         return Database({**self.relations, **more}, self.semiring, self.field)
 
+    def settled(self) -> Database:
+        """Each relation written once in the shared folder: evaluators use a relation for statistics, reducts and
+        lookups, and would otherwise scan and sum its base tables each time."""
+        return Database({n: replace(r, df=written(r.df, n)) for n, r in self.relations.items()}, self.semiring, self.field)
+
     def stats(self, names: Iterable[str] | None = None, exact: bool = False) -> dict[str, dict]:
         """size, distinct values by column and largest absolute value of relations, one job for those not known yet.
 

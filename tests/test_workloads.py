@@ -66,6 +66,7 @@ def test_planner(spark):
     with pytest.raises(ValueError, match="least bound"):
         planner.plan(q, db, budget=1)
     assert planner.exists(q, db)
+    assert sorted(map(tuple, planner.evaluate(q, db, settle=True).collect())) == sorted(map(tuple, planner.evaluate(q, db).collect()))
     for name in ("domain", "size", "value", "unguarded"):
         for r in planner.report(q, db, name):
             if name != "unguarded":
