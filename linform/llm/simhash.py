@@ -11,14 +11,19 @@ BLOCK fingerprints are cut in blocks, and pairs of blocks are compared as tasks
 an unbounded bucket. Of the links in a bucket only a spanning forest leaves the task; components follow from
 it in contractions over tables in the shared folder.
 
+Similarity (similar_groups) is another question: sets of shingles with a Jaccard similarity of 0.8 lie some ten bits
+apart and at times twenty, where agreeing bit blocks are of three or four bits and part nothing. There buckets
+come from bands of least hashes of the shingles (a pair of similarity 0.8 shares none of them once in 20,000), the bit
+planes of the sets only sort out pairs beyond a wide radius, and each link is checked on the whole sets.
+
 Null texts count as empty: fingerprint zero. A null doc_id takes part, but names no component unless all of
 its members are null. Repeated rows are kept. An empty table gives an empty result.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-from itertools import combinations, repeat
+from collections.abc import Callable, Iterator
+from itertools import combinations, groupby, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -31,23 +36,56 @@ from linform.llm.common import arrow_map, connected_components, materialise, red
 BITS, SEED = 64, 42
 #: Members of a bucket that one task compares; lanes of one block of planes; shingles hashed at a time.
 BLOCK, LANES, CHUNK = 16_384, 65_536, 65_536
+#: Bands of least hashes and hashes in each; radius beyond which no pair is of similarity 0.8 (mean 10 to 12 bits, deviation
+#: 3); members of a bucket of whole sets that one task compares.
+BANDS, IN_BAND, WIDE, SETS = 25, 5, 24, 1_024
+_MIX = np.random.default_rng(SEED).integers(0, 1 << 63, (2, BANDS * IN_BAND), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
 
-def fingerprint(text: str, shingle: int = 3) -> int:
-    """SimHash of word shingles: a bit is set where over half of the shingles' hashes have it."""
+def shingle_hashes(text: str, shingle: int) -> Iterator[np.ndarray]:
+    """Hashes of the word shingles, in order, a chunk at a time; texts of fewer words are one shingle."""
     words = text.encode("utf-8", "surrogatepass").lower().split()  # on bytes: A-Z and ASCII white space only
-    if not words:
-        return 0
-    n = max(1, len(words) - shingle + 1)
-    ones = np.zeros(BITS, np.int64)
-    for at in range(0, n, CHUNK):
-        part = words[at : min(at + CHUNK, n) + shingle - 1]
+    for at in range(0, max(1, len(words) - shingle + 1) if words else 0, CHUNK):
+        part = words[at : at + CHUNK + shingle - 1]
         runs = zip(*(part[k:] for k in range(shingle)), strict=False) if len(words) >= shingle else [part]
-        hashes = np.fromiter(map(xxhash.xxh64_intdigest, map(b" ".join, runs), repeat(SEED)), np.uint64)
+        yield np.fromiter(map(xxhash.xxh64_intdigest, map(b" ".join, runs), repeat(SEED)), np.uint64)
+
+
+def majority(parts: Iterator[np.ndarray]) -> int:
+    """The bits that over half of the hashes have."""
+    ones, n = np.zeros(BITS, np.int64), 0
+    for hashes in parts:
         ones += np.unpackbits(hashes.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+        n += len(hashes)
     return int(np.packbits(2 * ones > n, bitorder="little").view(np.uint64)[0])
 
 
+def fingerprint(text: str, shingle: int = 3) -> int:
+    """SimHash of word shingles: a bit is set where over half of the shingles' hashes have it."""
+    return majority(shingle_hashes(text, shingle))
+
+
+def shingle_set(text: str, shingle: int) -> np.ndarray:
+    """Distinct hashes of the word shingles, sorted."""
+    parts = list(shingle_hashes(text, shingle))
+    return np.unique(np.concatenate(parts)) if parts else np.zeros(0, np.uint64)
+
+
+def band_keys(held: np.ndarray) -> np.ndarray:
+    """A hash of each band of least hashes of a set that is not empty."""
+    least = np.empty(BANDS * IN_BAND, np.uint64)
+    for at in range(0, len(least), IN_BAND):
+        flip, factor = _MIX[:, at : at + IN_BAND, None]
+        least[at : at + IN_BAND] = ((held ^ flip) * factor).min(axis=1)
+    return np.array([xxhash.xxh64_intdigest(x.tobytes(), band) for band, x in enumerate(least.reshape(BANDS, IN_BAND))], np.uint64)
+
+
+def jaccard(a: np.ndarray, b: np.ndarray) -> float:
+    """Of two sorted sets."""
+    both = len(np.intersect1d(a, b, assume_unique=True))
+    return both / max(1, len(a) + len(b) - both)
+
+
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 3) -> DataFrame:
     """(doc_id, fp) for every row; fp is the fingerprint as a signed long."""
 
@@ -102,8 +140,11 @@ def lanes_within(planes: np.ndarray, by: int, asked: np.ndarray, radius: int) ->
     return ~beyond
 
 
-def links_in_groups(values: np.ndarray, group: np.ndarray, radius: int) -> list[tuple[int, int]]:
-    """Indices of pairs that form a spanning forest of the links inside groups. group: sorted numbers."""
+def links_in_groups(values: np.ndarray, group: np.ndarray, radius: int, sure: Callable[[int, int], bool] | None = None) -> list[tuple[int, int]]:
+    """Indices of pairs that form a spanning forest of the links inside groups. group: sorted numbers.
+
+    sure: if given, pairs within the radius are links only where it says so.
+    """
     root: dict[int, int] = {}
 
     def find(x: int) -> int:
@@ -139,7 +180,7 @@ def links_in_groups(values: np.ndarray, group: np.ndarray, radius: int) -> list[
             if near.any():
                 for i in np.flatnonzero(np.unpackbits(near.view(np.uint8), bitorder="little")):
                     a, b = int(lanes[i]), int(lanes[i + by])
-                    if (ra := find(a)) != (rb := find(b)):
+                    if (ra := find(a)) != (rb := find(b)) and (sure is None or sure(a, b)):
                         root[ra] = rb
                         out.append((a, b))
             by += 1
@@ -208,3 +249,60 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     least = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
     named = rooted.join(redealt(least, "root"), "root").select("fp", "component_id")
     return each.join(named, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+
+
+def similar_links(sets: DataFrame, buckets: DataFrame, similar: float, block: int = SETS) -> DataFrame:
+    """(row, fp, held), (row, key) -> (a, b): links that connect all rows of a bucket whose sets are similar enough."""
+    sizes = buckets.groupBy("key").agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("row")).alias("mark"), F.sum(F.xxhash64("row", F.lit(1)) % 1_000_003).alias("sum"))
+    once = sizes.where("n > 1").groupBy("n", "mark", "sum").agg(F.min("key").alias("key"))  # of bands with the same rows, one
+    cuts = once.select("key", F.when(F.col("n") > block, F.ceil(F.col("n") / (block / 2))).otherwise(1).cast("int").alias("cuts"))
+    placed = buckets.join(redealt(cuts, "key"), "key").withColumn("own", F.pmod(F.xxhash64("row"), F.col("cuts")).cast("int"))
+    spread = placed.select("row", "key", "own", F.explode(F.sequence(F.lit(0), F.col("cuts") - 1)).alias("other"))
+    keys = ["key", "i", "j"]
+    asked = spread.select("row", "key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
+    tasks = asked.join(sets, "row").select(*keys, "row", "fp", "held").repartition(*keys).sortWithinPartitions(*keys)
+
+    def members(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple]:
+        for batch in batches:
+            yield from zip(*(c.to_pylist() for c in batch.columns), strict=True)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for _, part in groupby(members(batches), key=lambda x: x[:3]):
+            rows, fps, held = zip(*(x[3:] for x in part), strict=True)
+            held = [np.frombuffer(x, np.uint64) for x in held]
+            pairs = links_in_groups(np.array(fps, np.int64).view(np.uint64), np.zeros(len(rows), np.int64), WIDE, lambda a, b, held=held: jaccard(held[a], held[b]) >= similar)
+            if pairs:
+                yield pa.RecordBatch.from_pydict({"a": pa.array([rows[a] for a, _ in pairs], pa.int64()), "b": pa.array([rows[b] for _, b in pairs], pa.int64())})
+
+    return tasks.mapInArrow(run, "a long, b long")
+
+
+def similar_groups(docs: DataFrame, row_col: str, text_col: str = "text", shingle: int = 5, similar: float = 0.8) -> DataFrame:
+    """(row, root) of every row of docs: rows that links of similar sets of word shingles connect have one root.
+
+    row_col: distinct longs, in a table that was written after they were given. Rows of equal sets are linked too.
+    """
+    texts = docs.select(F.col(row_col).alias("row"), F.col(text_col).cast("string").alias("text"))
+
+    def marks(batch: pa.RecordBatch) -> dict:
+        digest, keys = [], []
+        for text in texts_of(batch.column(1)):
+            held = shingle_set(text, shingle)
+            digest.append(xxhash.xxh128_digest(held.tobytes(), SEED))
+            keys.append(band_keys(held).view(np.int64) if len(held) else [])
+        return {"row": batch.column(0), "digest": pa.array(digest, pa.binary()), "keys": pa.array(keys, pa.list_(pa.int64()))}
+
+    def whole(batch: pa.RecordBatch) -> dict:
+        held = [shingle_set(x, shingle) for x in texts_of(batch.column(1))]
+        fps = np.array([majority(iter([x])) for x in held], np.uint64).view(np.int64)
+        return {"row": batch.column(0), "fp": pa.array(fps), "held": pa.array([x.tobytes() for x in held], pa.binary())}
+
+    marked = materialise(arrow_map(texts, marks, "row long, digest binary, keys array<long>"), "shingle-marks")
+    firsts = materialise(marked.groupBy("digest").agg(F.min("row").alias("row")), "shingle-sets")
+    dealt = marked.join(firsts.select("row"), "row", "left_semi").select("row", F.explode("keys").alias("key"))
+    shared = dealt.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").drop("n")
+    buckets = materialise(dealt.join(redealt(shared, "key"), "key").select("row", "key"), "shingle-buckets")
+    sets = materialise(arrow_map(texts.join(buckets.select("row").distinct(), "row"), whole, "row long, fp long, held binary"), "shingle-held")
+    roots = connected_components(similar_links(sets, buckets, similar))
+    rooted = firsts.join(roots, F.col("row") == F.col("node"), "left").select("digest", F.coalesce("root", "row").alias("root"))
+    return marked.select("row", "digest").join(redealt(rooted, "digest"), "digest").select("row", "root")

@@ -60,3 +60,12 @@ def test_nulls_and_repeats(spark):
     docs = spark.createDataFrame([(1, None, None, None, None), (None, "", None, None, None), (2, "some text", "en", "s", 9), (2, "some text", "en", "s", 9)], "doc_id long, text string, lang string, source string, n_chars long")
     for _, stage in P.STAGES:
         assert stage(spark, docs, D).count() >= 0
+
+
+def test_edited_copies_leave_at_similarity_four_fifths(spark):
+    words = [f"w{i * i % 977}" for i in range(200)]
+    edited = [f"other{i}" if i in (30, 75, 120, 165) else w for i, w in enumerate(words)]
+    half = words[:100] + [f"v{i}" for i in range(100)]
+    assert (simhash.fingerprint(" ".join(words)) ^ simhash.fingerprint(" ".join(edited))).bit_count() > 3
+    docs = spark.createDataFrame([(i, " ".join(w), "en", "s", 1) for i, w in enumerate((words, edited, half))], "doc_id long, text string, lang string, source string, n_chars long")
+    assert sorted(r.doc_id for r in P.drop_near_duplicates(spark, docs, D).collect()) == [0, 2]

@@ -93,3 +93,38 @@ def test_large_buckets_are_cut_without_loss(spark):
     at = {f: i for i, f in enumerate(fps)}
     want = [(i, j) for i in range(len(fps)) for j in range(i) if (fps[i] ^ fps[j]).bit_count() <= 3]
     assert roots(len(fps), [(at[r.a], at[r.b]) for r in got]) == roots(len(fps), want)
+
+
+def test_similar_groups_against_all_pairs(spark):
+    rng = random.Random(11)
+    rows = []
+    for _ in range(150):
+        words = [f"w{rng.randrange(3000)}" for _ in range(rng.choice([3, 8, 12, 40, 150, 400]))]
+        rows.append(" ".join(words))
+        for _ in range(rng.randrange(3)):
+            for _ in range(rng.randrange(1, 2 + len(words) // 60)):
+                words[rng.randrange(len(words))] = f"edit{rng.randrange(10**6)}"
+            rows.append(" ".join(words))
+    rows += [None, "", " ", "a b c", "A b  c"] + ["one line of five words or more " * k for k in (2, 9, 90)]
+    sets = [{tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} - {()} for w in ((t or "").lower().split() for t in rows)]
+    like = [(i, j, len(a & b) / max(1, len(a | b)) if a or b else 1.0) for i, a in enumerate(sets) for j, b in enumerate(sets[:i])]
+    fps = [H.fingerprint(t or "") for t in rows]
+    far = [(i, j) for i, j, x in like if x >= 0.8 and (fps[i] ^ fps[j]).bit_count() > 3]
+    assert len(far) > 30  # out of reach of three-word fingerprints at radius 3
+    want = roots(len(rows), [(i, j) for i, j, x in like if x >= 0.8])
+    df = spark.createDataFrame(list(enumerate(rows)), "row long, text string").repartition(3)
+    got = {r.row: r.root for r in H.similar_groups(df, "row").collect()}
+    assert [min(k for k in got if got[k] == got[i]) for i in range(len(rows))] == want
+    assert H.similar_groups(df.limit(0), "row").count() == 0
+
+
+def test_similar_links_of_cut_buckets(spark):
+    rng = random.Random(5)
+    base = np.array([rng.getrandbits(64) for _ in range(60)], np.uint64)
+    held = [np.unique(np.append(rng.sample(list(base), 57), np.array([rng.getrandbits(64)], np.uint64)).astype(np.uint64)) for _ in range(200)]
+    rows = [(i, int(np.uint64(H.majority(iter([x]))).view(np.int64)), x.tobytes()) for i, x in enumerate(held)]
+    sets = spark.createDataFrame(rows, "row long, fp long, held binary")
+    buckets = sets.selectExpr("row", "7L as key")
+    got = H.similar_links(sets, buckets, 0.8, block=40).collect()
+    want = [(i, j) for i in range(200) for j in range(i) if H.jaccard(held[i], held[j]) >= 0.8]
+    assert roots(200, [(r.a, r.b) for r in got]) == roots(200, want)
