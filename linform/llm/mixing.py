@@ -2,11 +2,12 @@
 
 A classifier learned from a labelled table gives each document posterior probabilities over domains. Document
 rates r (how often a document is taken) are then fitted so that expected domain totals, the sums of tokens x
-posterior x rate, match the targets: non-negative least squares by projected gradient, with a small pull
-towards rate one. Each domain's miss is weighed by its share, and the step is taken in the metric of the tokens,
-so one step size suits all inputs. A rate follows from the document's posteriors and the gradients so far, which
-are vectors of one number a domain; a step is therefore one pass that sums those numbers, and nothing else
-reaches the driver. Documents may have a floor below which their rate is not pushed.
+posterior x rate, match the targets: non-negative least squares with a small pull towards rate one, each
+domain's miss weighed by its share. At the solution a rate follows from the document's posteriors and one number
+a domain (the weighed miss), so the dual has as many unknowns as there are domains. It is convex, and solved
+by damped Newton steps; a step is one pass that sums value, gradient and second derivative at several lengths of step,
+and nothing else reaches the driver. Steps end only where the projected gradient of the rates vanishes. Documents may
+have a floor below which their rate is not pushed.
 
 Domains by default: "toxic", "low" (quality 0) and "clean <language>", known for labelled rows only; the language
 of other rows is not used. At most MAX_LABELLED labelled rows are learned from, those of least id hash.
@@ -32,9 +33,10 @@ from linform.llm.quality import LEAST_STEPS, Ftrl, sampled
 
 #: Bits of the feature space; bound of the training sample; passes over it; rows in a batch out; words kept.
 SPACE, MAX_LABELLED, PASSES, ROWS, KEPT_WORDS = 16, 8_000, 3, 512, 200_000
-#: Steps at most, the miss at which they end (share of the total), the pull towards rate one. They also end when
-#: five steps lower the miss by less than SLOW of it: then what is left is out of reach of rates that are not negative.
-STEPS, ENOUGH, PULL, SLOW = 40, 1e-3, 1e-3, 0.15
+#: Steps at most (beyond them the fit fails), the projected gradient at which they end, the pull towards rate one, the
+#: part of the gain its slope promises that a step must bring, the lengths of step tried in one pass.
+STEPS, ENOUGH, PULL, SLOW = 100, 1e-5, 1e-3, 0.01
+LENGTHS = tuple(0.5**k for k in range(12))
 #: Characters of a word that make its feature (endings differ more than senses), learning rate of the classifier.
 STEM, RATE = 5, 0.4
 _MARKS = re.compile(r"\W*\Z")
@@ -150,30 +152,65 @@ def domain_totals(docs: DataFrame, n: int) -> np.ndarray:
 
 
 def fit_moves(docs: DataFrame, target: np.ndarray, pull: float = PULL, steps: int = STEPS, enough: float = ENOUGH, slow: float = SLOW) -> tuple[np.ndarray, float, list[float]]:
-    """(tokens, posterior, floor) and target totals -> the gradients, the step, and the miss before each."""
+    """(tokens, posterior, floor) and target totals -> the gradient at the solution (one row), the step that takes
+    rates of one there, and the miss at each point that was taken."""
     n, now = len(target), domain_totals(docs, len(target))
     total = max(now.sum(), 1.0)
     share = np.maximum(now / total, 1e-6)
-    step, moves, misses = 1 / (1 + pull), np.zeros((0, n)), []
-    # the weighed Gram matrix has rows that sum to at most one, so this step does not overshoot
-    for _ in range(steps):
+    corner = np.triu_indices(n)
+
+    def look(points: np.ndarray) -> np.ndarray:
+        """For each point a row: the dual's value, its gradient, the upper half of its second derivative."""
+        width = 1 + n + len(corner[0])
 
-        def sums(batches: Iterator[pa.RecordBatch], moves=moves) -> Iterator[pa.RecordBatch]:
-            held = np.zeros(n)
+        def sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            held = np.zeros((len(points), width))
             for batch in batches:
-                p = np.stack(batch.column(1).flatten().to_numpy(zero_copy_only=False).reshape(-1, n))
+                p = batch.column(1).flatten().to_numpy(zero_copy_only=False).reshape(-1, n)
                 floor = batch.column(2).to_numpy(zero_copy_only=False)
-                held += (batch.column(0).to_numpy(zero_copy_only=False) * rates_from(p, floor, moves, step, pull)) @ p
-            yield pa.RecordBatch.from_pydict({f"t{d}": [held[d]] for d in range(n)})
-
-        parts = docs.select("tokens", "posterior", "floor").mapInArrow(sums, ", ".join(f"t{d} double" for d in range(n)))
-        found = np.array([x or 0.0 for x in parts.agg(*(F.sum(f"t{d}") for d in range(n))).first()])
-        miss = (found - target) / total
-        misses.append(float(np.abs(miss).sum()))
-        if misses[-1] < enough or (len(misses) > 5 and misses[-6] - misses[-1] < slow * misses[-6]):
+                tokens = batch.column(0).to_numpy(zero_copy_only=False) / total
+                for row, y in zip(held, points, strict=True):
+                    push = p @ y
+                    free = 1 - push / pull
+                    r = np.maximum(floor, free)
+                    row[0] -= tokens @ (pull / 2 * (r - 1) ** 2 + r * push)
+                    row[1 : n + 1] -= (tokens * r) @ p
+                    row[n + 1 :] += ((p.T * (tokens * (free > floor))) @ p)[corner] / pull
+            yield pa.RecordBatch.from_pydict({"t": pa.array([held.ravel().tolist()], pa.list_(pa.float64()))})
+
+        parts = docs.select("tokens", "posterior", "floor").mapInArrow(sums, "t array<double>")
+        found = parts.agg(*(F.sum(F.col("t")[i]).alias(f"t{i}") for i in range(len(points) * width))).first()
+        out = np.array([x or 0.0 for x in found]).reshape(len(points), width)
+        out[:, 0] += (share * points**2).sum(axis=1) / 2 + points @ target / total
+        out[:, 1 : n + 1] += share * points + target / total
+        out[:, n + 1 :] += np.diag(share)[corner]
+        return out
+
+    def miss(y: np.ndarray, seen: np.ndarray) -> float:
+        return float(np.abs(share * y - seen[1 : n + 1]).sum())
+
+    y = np.zeros(n)
+    seen = look(y[None])[0]
+    misses = [miss(y, seen)]
+    for _ in range(steps):
+        gradient = seen[1 : n + 1]
+        if np.abs(gradient / share).max() < enough:
             break
-        moves = np.vstack([moves, miss / share])
-    return moves, step, misses
+        second = np.zeros((n, n))
+        second[corner] = seen[n + 1 :]
+        second += np.triu(second, 1).T
+        towards = -np.linalg.solve(second, gradient)
+        points = y + np.outer(LENGTHS, towards)
+        ahead = look(points)
+        gains = ahead[:, 0] <= seen[0] + slow * np.array(LENGTHS) * (gradient @ towards) + 1e-14
+        if not gains.any():
+            raise RuntimeError("rates did not settle: no length of step gains")
+        at = int(np.argmin(np.where(gains, ahead[:, 0], np.inf)))
+        y, seen = points[at], ahead[at]
+        misses.append(miss(y, seen))
+    else:
+        raise RuntimeError(f"rates did not settle in {steps} steps")
+    return y[None], 1 / pull, misses
 
 
 def with_rates(docs: DataFrame, moves: np.ndarray, step: float, pull: float = PULL) -> DataFrame:

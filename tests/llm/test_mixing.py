@@ -60,3 +60,24 @@ def test_mix(spark):
     assert M.mix(docs.limit(0), learned).count() == 0
     even = M.mix(docs.limit(5), M.train(docs, labelled.limit(0))).collect()
     assert all(np.allclose(r.posterior, 1 / 6) for r in even)
+
+
+def test_fit_is_optimal_with_production_defaults(spark):
+    rng = np.random.default_rng(8)
+    for sharp in (0.95, 0.8):
+        label = rng.choice(6, 3000, p=[0.1, 0.5, 0.1, 0.1, 0.15, 0.05])
+        p = (1 - sharp) * rng.dirichlet([0.3] * 6, 3000) + sharp * np.eye(6)[label]
+        tokens = rng.integers(1, 900, 3000)
+        floor = np.where((label < 4) & (rng.random(3000) < 0.2), 1.0, 0.0)
+        df = spark.createDataFrame([(int(t), [float(x) for x in q], float(f)) for t, q, f in zip(tokens, p, floor, strict=True)], "tokens long, posterior array<double>, floor double").repartition(4)
+        now = tokens @ p
+        total, share = now.sum(), now / now.sum()
+        wanted = np.append(share[:4] ** 0.7, 0) / (share[:4] ** 0.7).sum() * share[:4].sum()
+        wanted = np.array([*wanted[:4], share[4] / 2, 0.0])
+        target = wanted / wanted.sum() * total
+        moves, step, misses = M.fit_moves(df, target)
+        r = M.rates_from(p, floor, moves, step, M.PULL)
+        miss = ((tokens * r) @ p - target) / total
+        gradient = p @ (miss / share) + M.PULL * (r - 1)
+        assert np.abs(np.where(r > floor, gradient, np.minimum(gradient, 0))).max() < 1e-4
+        assert abs(np.abs(miss).sum() - misses[-1]) < 1e-6 < misses[0]
