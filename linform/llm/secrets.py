@@ -2,8 +2,9 @@
 
 A scan finds the base kinds (assign, access, hex) and, outside their spans, bare candidates: long mixed strings
 with no telling context. Values leave the scan as hashes only. For each hash the corpus is then asked in how
-many repositories and by how many owners it is held: values of many owners are widely copied examples, values
-of one owner that look drawn at random are live-looking credentials. Bare candidates of the second sort are
+many repositories and by how many owners it is held: values of many owners or many repositories are widely copied
+examples (one owner may copy an example into thousands of repositories), values of one owner and few
+repositories that look drawn at random are live-looking credentials. Bare candidates of the second sort are
 added to the spans; base spans always stay, with counts of both sorts beside them.
 
 Null texts count as empty; null repositories and owners each count as one. Repeated rows are scanned each, and
@@ -58,6 +59,9 @@ def _joined(spans) -> str:
     return ",".join(f"{KINDS[k]}:{a}:{b}" for a, k, b, *_ in spans)
 
 
+#: A value is narrowly held by at most so many owners and repositories: a credential may be in some files and copies of them.
+MAX_OWNERS, MAX_REPOS = 1, 10
+
 SPAN = "start int, kind int, end int, held binary, random boolean"
 
 
@@ -94,20 +98,21 @@ def ownership(scanned: DataFrame) -> DataFrame:
     return by_owner.groupBy("held").agg(F.sum("repos").alias("n_repos"), F.count("*").alias("n_owners"))
 
 
-def scan_secrets(docs: DataFrame, id_col: str = "doc_id", repo_col: str = "doc_id", owner_col: str = "source", text_col: str = "text", max_owners: int = 1, least_bits: float = 3.0) -> DataFrame:
-    """(doc_id, n_assign, n_access, n_hex, base_sha256, spans, n_owned, n_live, n_example), one row for each row of docs.
+def scan_secrets(docs: DataFrame, id_col: str = "doc_id", repo_col: str = "doc_id", owner_col: str = "source", text_col: str = "text", max_owners: int = MAX_OWNERS, least_bits: float = 3.0, max_repos: int = MAX_REPOS) -> DataFrame:
+    """(doc_id, n_assign, n_access, n_hex, base_sha256, spans, repos, owners, n_owned, n_live, n_example), one row for each row of docs.
 
-    n_live, n_example: base spans whose value is held by at most max_owners and looks random, or by more owners.
+    repos, owners: of each span, how many distinct repositories and owners hold its value. n_live, n_example: base
+    spans whose value is held by at most max_owners and max_repos and looks random, or by more of either.
     """
     from_repo = docs.withColumn("_repo", F.struct(F.col(id_col).alias("id"), F.col(repo_col).alias("repo")))
     scanned = materialise(scan(from_repo, "_repo", owner_col, text_col, least_bits).withColumn("id", F.col("repo.id")).withColumn("repo", F.col("repo.repo")), "secrets")
     each = scanned.where(F.size("found") > 0).select("row", F.inline("found"))
-    weighed = each.join(redealt(ownership(scanned), "held"), "held").withColumn("few", F.col("n_owners") <= max_owners)
+    weighed = each.join(redealt(ownership(scanned), "held"), "held").withColumn("few", (F.col("n_owners") <= max_owners) & (F.col("n_repos") <= max_repos))
     told = (
         weighed.where((F.col("kind") < 3) | (F.col("few") & F.col("random")))
         .groupBy("row")
         .agg(
-            F.array_sort(F.collect_list(F.struct("start", "kind", "end"))).alias("told"),
+            F.array_sort(F.collect_list(F.struct("start", "kind", "end", "n_repos", "n_owners"))).alias("told"),
             F.sum((F.col("kind") == 3).cast("long")).alias("n_owned"),
             F.sum((F.col("few") & F.col("random") & (F.col("kind") < 3)).cast("long")).alias("n_live"),
             F.sum((~F.col("few") & (F.col("kind") < 3)).cast("long")).alias("n_example"),
@@ -117,4 +122,5 @@ def scan_secrets(docs: DataFrame, id_col: str = "doc_id", repo_col: str = "doc_i
     text = F.array_join(F.transform("told", lambda x: F.concat_ws(":", F.get(names, x["kind"]), x["start"], x["end"])), ",")
     out = scanned.drop("found").join(told, "row", "left")
     zero = [F.coalesce(c, F.lit(0).cast("long")).alias(c) for c in ("n_owned", "n_live", "n_example")]
-    return out.select(F.col("id").alias("doc_id"), "n_assign", "n_access", "n_hex", "base_sha256", F.coalesce(text, F.lit("")).alias("spans"), *zero)
+    held = [F.coalesce(F.col(f"told.n_{c}"), F.array().cast("array<long>")).alias(c) for c in ("repos", "owners")]
+    return out.select(F.col("id").alias("doc_id"), "n_assign", "n_access", "n_hex", "base_sha256", F.coalesce(text, F.lit("")).alias("spans"), *held, *zero)

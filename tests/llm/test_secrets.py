@@ -42,3 +42,15 @@ def test_ownership_separates_examples_from_owned(spark):
     for r in got:
         assert r.n_assign + r.n_access + r.n_hex + r.n_owned == len([x for x in r.spans.split(",") if x])
     assert S.scan_secrets(df.limit(0)).count() == 0
+
+
+def test_value_in_many_repositories_of_one_owner_is_an_example(spark):
+    copied = "Hk2nW9yR4jMd7QzX5tVb"
+    rows = [(i, f"see {copied} and token={copied}x", "one") for i in range(S.MAX_REPOS + 1)]
+    rows += [(500 + i, f"key {RANDOM} and token={RANDOM}x", "one") for i in range(S.MAX_REPOS)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(3)
+    by = {r.doc_id: r for r in S.scan_secrets(df).collect()}
+    assert all((by[i].n_owned, by[i].n_live, by[i].n_example) == (0, 0, 1) for i in range(S.MAX_REPOS + 1))
+    assert by[0].repos == [S.MAX_REPOS + 1] and by[0].owners == [1]
+    assert all((by[500 + i].n_owned, by[500 + i].n_live, by[500 + i].n_example) == (1, 1, 0) for i in range(S.MAX_REPOS))
+    assert by[500].repos == [S.MAX_REPOS] * 2
