@@ -35,8 +35,8 @@ from linform.llm.common import materialise, new_path, redealt
 VERSION, DATE = b"WARC/1.1\r\n", "2024-01-01T00:00:00Z"
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 MAGIC = b"\x1f\x8b\x08"
-#: Bytes after which a task begins another archive; bytes read at a time; largest header.
-TURN_OVER, STEP, MOST_HEADER = 64 << 20, 1 << 20, 1 << 16
+#: Bytes after which a task begins another archive; bytes read at a time; bytes in which a header is first sought.
+TURN_OVER, STEP, HEADER = 64 << 20, 1 << 20, 1 << 16
 
 
 def sha1_base32(data: bytes) -> str:
@@ -108,8 +108,6 @@ def _member(data: Bytes, at: int) -> tuple[bytes, int]:
 
 
 def _parse(head: bytes) -> dict[str, str]:
-    if not re.match(rb"WARC/\d\.\d\r\n", head):
-        raise Damage("no version line")
     out = {}
     for line in head.split(b"\r\n")[1:]:
         name, colon, value = line.decode("utf-8", "replace").partition(":")
@@ -123,10 +121,15 @@ def _parse(head: bytes) -> dict[str, str]:
 
 def _record(take, at: int) -> tuple[dict[str, str], bytes, int]:
     """Headers, block and end of the record at a place. take(place, n): bytes there."""
-    head = take(at, MOST_HEADER)
-    end = head.find(b"\r\n\r\n")
-    if end < 0:
-        raise Damage("no end of header")
+    n, end = HEADER, -1
+    while end < 0:
+        head = take(at, n)
+        if not re.match(rb"WARC/\d\.\d\r\n", head):
+            raise Damage("no version line")
+        end = head.find(b"\r\n\r\n")
+        if end < 0 and len(head) < n:
+            raise Damage("no end of header")
+        n *= 2
     headers = _parse(head[:end])
     if not re.fullmatch(r"\d+", headers.get("content-length", "")):
         raise Damage("no length")

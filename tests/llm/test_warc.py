@@ -94,3 +94,15 @@ def test_damaged_file_through_spark(spark, tmp_path):
     assert [r.page_id for r in rows if r.kind == "record"] == [0, 2, 3, 4, 5]
     assert [(r.start, r.end) for r in rows if r.kind == "gap"] == [(len(parts[0]), len(parts[0]) + 40)]
     assert bytes(rows[0].payload) == b"body 0 " * 50
+
+
+def test_headers_of_any_length():
+    pages = [W.build_record(i, "http://x/" + "\x01" * n, b"body", False, None) for i, n in enumerate((3, 70_000, 5, 900_000, 1))]
+    zipped = []
+    for p in pages:
+        c = zlib.compressobj(6, zlib.DEFLATED, 31)
+        zipped.append(c.compress(p) + c.flush())
+    for parts in (pages, zipped):
+        assert read(b"".join(parts)) == ([0, 1, 2, 3, 4], [])
+    cut = pages[0] + pages[1][:150_000]
+    assert read(cut) == ([0], [(len(pages[0]), len(cut), "no end of header")])
