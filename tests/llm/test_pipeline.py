@@ -69,3 +69,11 @@ def test_edited_copies_leave_at_similarity_four_fifths(spark):
     assert (simhash.fingerprint(" ".join(words)) ^ simhash.fingerprint(" ".join(edited))).bit_count() > 3
     docs = spark.createDataFrame([(i, " ".join(w), "en", "s", 1) for i, w in enumerate((words, edited, half))], "doc_id long, text string, lang string, source string, n_chars long")
     assert sorted(r.doc_id for r in P.drop_near_duplicates(spark, docs, D).collect()) == [0, 2]
+
+
+def test_one_row_of_each_group_stays(spark):
+    text = " ".join(f"w{i}" for i in range(60))
+    rows = [(7, text), (7, text), (7, "another text that is long enough to stand alone"), (9, text), (None, text), (None, "a text of null ids only, in two rows"), (None, "a text of null ids only, in two rows")]
+    docs = spark.createDataFrame([(d, t, "en", "s", 1) for d, t in rows], "doc_id long, text string, lang string, source string, n_chars long").repartition(3)
+    got = P.drop_near_duplicates(spark, docs, D).collect()
+    assert sorted(((r.doc_id, r.text) for r in got), key=str) == sorted([rows[0], rows[2], rows[5]], key=str)
