@@ -1,6 +1,8 @@
 import hashlib
 import random
 
+from pyspark.sql import functions as F
+
 from linform.llm import exact_dedup as X
 
 
@@ -19,6 +21,27 @@ def test_cuckoo_index_with_deletes_and_growth():
     assert not index.delete(b"\0" * 32)
 
 
+def test_hits_are_verified_in_their_buckets():
+    rng, index = random.Random(4), X.CuckooIndex(4)
+    alike = [b"\1\2" + b"\0" * 8 + bytes([i]) * 30 for i in range(6)]  # one mark, one pair of buckets
+    for i, key in enumerate(alike[:5]):
+        assert index.get(key) is None
+        index.insert(key, i)
+    assert index.false_hits >= 10 and index.maybe(alike[5]) and index.get(alike[5]) is None
+    assert [index.get(k) for k in alike[:5]] == list(range(5))
+    assert index.delete(alike[2]) and not index.delete(alike[2]) and [index.get(k) for k in alike[:5]] == [0, 1, None, 3, 4]
+    for key in (hashlib.sha256(rng.randbytes(9)).digest() for _ in range(500)):  # overflow: grows from the stored keys
+        index.insert(key, key)
+    assert index.resizes > 2 and index.live == 504 and all(v is k or v in range(5) for k, v in index.items())
+
+
+def test_parts_handed_on_early_make_the_same_index(spark):
+    df = spark.range(4000).select(F.col("id").alias("doc_id"), (F.col("id") % 701).cast("string").alias("text")).repartition(3)
+    digested = X.digests(df)
+    key = lambda index: sorted(map(tuple, index.select("digest", "keep_id", "group_size").collect()))
+    assert key(X.build_index(digested)) == key(X.build_index(digested, flush=50, part=64))
+
+
 def brute(rows):
     groups = {}
     for i, (d, t) in enumerate(rows):
