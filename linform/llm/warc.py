@@ -6,7 +6,13 @@ task lists are ever read, so a lost executor or a second attempt leaves nothing
 
 The reader checks each member and record (gzip checksum, version line, headers, length, block digest). After a
 check fails it searches on for the next gzip member or version line at which a record can be read, goes on from
-there, and logs the bytes between as a gap; gaps are rows beside the records, with their reason.
+there, and logs the bytes between as a gap; gaps are rows beside the records, with their reason. Damage inside a
+member of several records costs the damaged records only: the inflated bytes are searched on for the next version
+line, and of a member that is cut off or broken what can be inflated is read. A record without a block digest counts
+in sound members only. Members are inflated through a window, so a record has to fit in memory, a member need not.
+
+Rows of a file cover it: [start, end) is the region of the file, a member, a plain record or a gap; inner_start and
+inner_end are places among the inflated bytes of the member, for its records and for gaps between them.
 
 Of records with equal payloads of at least `least_bytes` bytes, the one of the largest page_id is a response and
 the others revisit it. Null payloads count as empty; a null page_id ranks lowest (and revisits, where an equal
@@ -23,6 +29,7 @@ import re
 import uuid
 import zlib
 from collections.abc import Iterator
+from itertools import chain
 
 import pyarrow as pa
 from pyarrow import fs
@@ -37,6 +44,8 @@ PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 MAGIC = b"\x1f\x8b\x08"
 #: Bytes after which a task begins another archive; bytes read at a time; bytes in which a header is first sought.
 TURN_OVER, STEP, HEADER = 64 << 20, 1 << 20, 1 << 16
+#: Inflated bytes of a member up to which they are kept from the pass that checks it; longer ones are inflated again.
+KEEP = 16 << 20
 
 
 def sha1_base32(data: bytes) -> str:
@@ -92,19 +101,96 @@ class Damage(Exception):
     pass
 
 
-def _member(data: Bytes, at: int) -> tuple[bytes, int]:
-    """The gzip member at a place and where it ends."""
-    tool, out, place = zlib.decompressobj(31), [], at
-    while not tool.eof:
-        part = data.read(place, 1 << 16)
-        if not part:
-            raise Damage("cut off member")
+class Inflated:
+    """A gzip member at a place, inflated forwards through a window. `end`: where it ends, or where it can be inflated
+    no further; `fault`: why it cannot, None for a sound member."""
+
+    def __init__(self, data: Bytes, at: int, limit: int | None = None):
+        self.data, self.begin, self.limit = data, at, data.size if limit is None else limit
+        self._rewind()
+        kept, size = [], 0
+        while part := self._more():
+            size += len(part)
+            kept = [*kept, part] if size <= KEEP else []
+        self.size, self.end, self.fault = size, self.place, self.reason
+        self._rewind()
+        if size <= KEEP:
+            self.window, self.done = b"".join(kept), True
+
+    def _rewind(self) -> None:
+        self.tool, self.place, self.reason, self.done = zlib.decompressobj(31), self.begin, None, False
+        self.low, self.window = 0, b""
+
+    def _more(self) -> bytes:
+        """The next inflated bytes; none at the end."""
+        while not self.done:
+            part = self.data.read(self.place, min(1 << 16, self.limit - self.place))
+            if not part:
+                self.reason, self.done = "cut off member", True
+                return b""
+            out = self._feed(part)
+            if out:
+                return out
+        return b""
+
+    def _feed(self, part: bytes) -> bytes:
+        """Inflate some bytes; if they are broken, as many as are not, found by halves."""
+        held = self.tool.copy()
         try:
-            out.append(tool.decompress(part))
-        except zlib.error as e:
-            raise Damage("broken member") from e
-        place += len(part)
-    return b"".join(out), place - len(tool.unused_data)
+            out = self.tool.decompress(part)
+            self.place += len(part) - len(self.tool.unused_data)
+            self.done = self.tool.eof
+            return out
+        except zlib.error:
+            self.tool = held
+            if len(part) == 1:
+                self.reason, self.done = "broken member", True
+                return b""
+            out = self._feed(part[: len(part) // 2])
+            return out if self.done else out + self._feed(part[len(part) // 2 :])
+
+    def read(self, at: int, n: int) -> bytes:
+        """Inflated bytes; what lies before a place that was asked for may be gone, and is then inflated again."""
+        if at < self.low:
+            self._rewind()
+        while self.low + len(self.window) < at + n and not self.done:
+            if at - self.low > STEP:
+                skip = min(at - self.low, len(self.window))
+                self.low, self.window = self.low + skip, self.window[skip:]
+            more = self._more()
+            self.window += more
+        return self.window[at - self.low : at - self.low + n]
+
+    def find(self, what: bytes, at: int) -> int:
+        """The first place of what at or after `at`; the size if there is none."""
+        while at < self.size:
+            part = self.read(at, STEP)
+            found = part.find(what)
+            if found >= 0:
+                return at + found
+            at += max(1, len(part) - len(what) + 1)
+        return self.size
+
+    def rows(self) -> Iterator[tuple]:
+        """("record", start, end, headers, block) and ("gap", start, end, reason) of the inflated bytes, in order."""
+        at, lost, reason = 0, None, ""
+        while at < self.size:
+            try:
+                headers, block, end = _record(self.read, at)
+                if self.fault and not headers.get("warc-block-digest", "").startswith("sha1:"):
+                    raise Damage(self.fault)
+            except Damage as e:
+                if lost is None:
+                    lost, reason = at, str(e)
+                at = self.find(b"WARC/", at + 1)
+                continue
+            if lost is not None:
+                yield "gap", lost, at, reason
+                lost = None
+            yield "record", at, end, headers, block
+            at = end
+        if lost is not None:
+            yield "gap", lost, self.size, reason
 
 
 def _parse(head: bytes) -> dict[str, str]:
@@ -144,40 +230,68 @@ def _record(take, at: int) -> tuple[dict[str, str], bytes, int]:
     return headers, block, start + n + 4
 
 
+def _parts(data: Bytes, at: int) -> tuple[Inflated | None, Iterator[tuple], int]:
+    """What begins at a place, if a record can be read of it: the member (None for a plain record), its rows (the
+    first record among them is read by now), and where it ends."""
+    if data.read(at, 3) != MAGIC:
+        headers, block, end = _record(data.read, at)
+        return None, iter([("record", None, None, headers, block)]), end
+    member, first = Inflated(data, at), []
+    rows = member.rows()
+    for row in rows:
+        first.append(row)
+        if row[0] == "record":
+            return member, chain(first, rows), member.end
+    raise Damage(member.fault or (first[0][3] if first else "empty member"))
+
+
 def salvage(file, size: int) -> Iterator[tuple]:
-    """("record", start, end, headers, block) and ("gap", start, end, reason) of an archive, in order.
+    """("record", start, end, inner_start, inner_end, headers, block) and ("gap", start, end, inner_start, inner_end,
+    reason) of an archive, in order.
 
-    Takes gzip members (of a record or more each) and plain records. The bytes of records and gaps add up to the
-    file.
+    Takes gzip members (of a record or more each) and plain records. The regions [start, end) add up to the file.
     """
     data = Bytes(file, size)
-    at, lost, reason = 0, None, ""
+    at, lost, reason, found = 0, None, "", None
     ahead = {MAGIC: -1, b"WARC/": -1}  # next places of what can begin a record
+
+    def after(place: int) -> int:
+        for what, known in ahead.items():
+            ahead[what] = data.find(what, place + 1) if known <= place else known
+        return min(ahead.values())
+
     while at < size:
         try:
-            if data.read(at, 3) == MAGIC:
-                whole, end = _member(data, at)
-                found, place = [], 0
-                while place < len(whole):
-                    headers, block, place = _record(lambda p, n: whole[p : p + n], place)
-                    found.append((headers, block))
-            else:
-                headers, block, end = _record(data.read, at)
-                found = [(headers, block)]
+            member, rows, end = found or _parts(data, at)
         except Damage as e:
             if lost is None:
                 lost, reason = at, str(e)
-            ahead = {what: data.find(what, at + 1) if place <= at else place for what, place in ahead.items()}
-            at = min(ahead.values())
+            at = after(at)
             continue
+        found = None
         if lost is not None:
-            yield "gap", lost, at, reason
+            yield "gap", lost, at, None, None, reason
             lost = None
-        for headers, block in found:
-            yield "record", at, end, headers, block
-        at = end
+        begin, at, broken = at, end, member is not None and member.fault is not None
+        if broken:  # the next record may begin before the place where inflating failed
+            at = after(begin)
+            while at < size:
+                try:
+                    found = _parts(data, at)
+                    break
+                except Damage:
+                    at = after(at)
+            if at < end:  # what was inflated beyond is not of this member
+                member = Inflated(data, begin, at)
+                rows, end, broken = member.rows(), at, member.fault is not None
+        for kind, a, b, *rest in rows:
+            yield kind, begin, end, a, b, *rest
+        if broken and end < at:
+            yield "gap", end, at, None, None, member.fault
+        elif broken:
+            yield "gap", begin, end, member.size, None, member.fault
     if lost is not None:
-        yield "gap", lost, size, reason
+        yield "gap", lost, size, None, None, reason
 
 
 def payload_of(headers: dict[str, str], block: bytes) -> tuple[int, str, bytes]:
@@ -235,7 +349,7 @@ def write_archives(records: DataFrame, folder: str, turn_over: int = TURN_OVER)
     return materialise(records.select("page_id", "url", "html", "revisit", "refers_to").mapInArrow(run, "path string, bytes long, records long"), "archives")
 
 
-READ = "path string, kind string, start long, end long, reason string, page_id long, url string, record_type string, refers_to long, payload_bytes long, payload_digest string, payload binary"
+READ = "path string, kind string, start long, end long, inner_start long, inner_end long, reason string, page_id long, url string, record_type string, refers_to long, payload_bytes long, payload_digest string, payload binary"
 
 
 def read_archives(listed: DataFrame, payloads: bool = False) -> DataFrame:
@@ -253,13 +367,14 @@ def read_archives(listed: DataFrame, payloads: bool = False) -> DataFrame:
                 store, place = _open(path)
                 rows, held = [], 0
                 with store.open_input_file(place) as file:
-                    for kind, start, end, *rest in salvage(file, file.size()):
+                    for kind, *region in salvage(file, file.size()):
+                        region, rest = region[:4], region[4:]
                         if kind == "gap":
-                            rows.append((path, kind, start, end, rest[0], *[None] * 7))
+                            rows.append((path, kind, *region, rest[0], *[None] * 7))
                         else:
                             headers, block = rest
                             n, digest, body = payload_of(headers, block)
-                            rows.append((path, kind, start, end, None, page_of(headers.get("warc-record-id")), headers.get("warc-target-uri"), headers.get("warc-type"), page_of(headers.get("warc-refers-to")), n, digest, body if payloads else None))
+                            rows.append((path, kind, *region, None, page_of(headers.get("warc-record-id")), headers.get("warc-target-uri"), headers.get("warc-type"), page_of(headers.get("warc-refers-to")), n, digest, body if payloads else None))
                             held += len(body) if payloads else 0
                         if len(rows) >= 2_000 or held > 16 << 20:
                             yield told(rows)
@@ -271,6 +386,13 @@ def read_archives(listed: DataFrame, payloads: bool = False) -> DataFrame:
 
 
 def archive_pages(spark: SparkSession, pages: DataFrame, least_bytes: int = 0) -> DataFrame:
-    """Write all pages as archives in the shared folder and read them back, spread over the tasks."""
-    listed = write_archives(assign_records(pages, least_bytes), new_path(spark, "warc"))
-    return read_archives(listed.repartition("path"))
+    """Write all pages as archives in the shared folder and read them back, about an archive in each task."""
+    return read_archives(spread(write_archives(assign_records(pages, least_bytes), new_path(spark, "warc"))))
+
+
+def spread(listed: DataFrame, share: int = TURN_OVER // 4) -> DataFrame:
+    """The list dealt evenly over tasks: one for each `share` bytes, and no fewer than can run at once, but no more
+    than there are archives."""
+    n, size = listed.agg(F.count("*"), F.sum("bytes")).first()
+    tasks = max(1, min(n, max(-(-(size or 0) // share), listed.sparkSession.sparkContext.defaultParallelism)))
+    return listed.repartition(tasks)
