@@ -3,6 +3,7 @@ import random
 
 from hypothesis import given, settings
 from hypothesis import strategies as st
+from pyspark.sql import functions as F
 
 from linform.llm import chat as C
 
@@ -41,6 +42,20 @@ def test_rows(spark):
     assert [r.n_turns for r in C.digest(C.fold(C.events_of(tied))).collect()] == [4]
 
 
+def test_history_is_in_the_log_and_leaves_no_trace(spark):
+    rows = [(c, t, "user" if t % 2 == 0 else "assistant", f"text {c} {t} " * (1 + 700 * (c % 9 == 0))) for c in range(60) for t in range(4)]
+    rows += [(7, 1, "assistant", "a tied turn"), (7, 1, "assistant", "a tied turn"), (8, None, "user", None)]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").repartition(4)
+    log = C.events_of(df)
+    kinds = {r.kind: r.n for r in log.groupBy("kind").agg(F.count("*").alias("n")).collect()}
+    assert kinds["edit"] > 20 and kinds["regenerate"] > 20
+    kept = C.live_events(log, [*C.NAMES, "part"], C.NAMES)
+    assert kept.where("kind = 'regenerate' or text like 'draft%'").count() == 0 < log.where("text like 'draft%'").count()
+    out = lambda x: sorted(map(str, C.digest(C.fold(x)).collect()))
+    assert out(log) == out(C.events_of(df, history=0))
+    assert {r.kind for r in C.events_of(df, history=0).select("kind").distinct().collect()} == {"start", "delta"}
+
+
 def slow_fold(events):
     messages = {}
     for _, m, kind, role, text in sorted(events):
@@ -60,6 +75,9 @@ def test_streamed_edits_and_regenerations(spark):
         while top < rng.randrange(1, 6) or not log:
             log.append((seq, top, "start", rng.choice(["user", "assistant"]), ""))
             seq += 1
+            if rng.random() < 0.2:
+                log += [(seq, top, "delta", None, "gone"), (seq + 1, top, "edit", None, "too"), (seq + 2, top, "start", "assistant", "again")]
+                seq += 3
             for _ in range(rng.randrange(4)):
                 kind = rng.choice(["delta", "delta", "edit"])
                 m = top if kind == "delta" else rng.randrange(top + 1)
