@@ -171,6 +171,11 @@ class ExtensionField:
                 return j
         return self.k
 
+    def subfield(self, elements) -> list[int]:
+        """Codes of the least subfield that holds the elements."""
+        size = self.p ** self.subfield_degree(set(elements))
+        return [a for a in range(self.order) if self.power(a, size) == a]
+
     def linear(self, columns: list[Column], coefficients: list) -> Column:
         """Multiplication by a constant is linear in the base-p digits, so digits are summed and reduced one by one."""
         sums: list[Column] = [F.lit(0).cast("long") for _ in range(self.k)]

@@ -7,13 +7,16 @@ fractional values is returned as numerator h<i> and denominator h<i>_den.
 
 from __future__ import annotations
 
+from collections.abc import Sequence
+from dataclasses import dataclass
 from functools import reduce
 from math import log
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from linform.functions import linalg
+from linform.functions.fields import PrimeField
 from linform.operators import reducts as R
 from linform.operators.relation import AnnotatedRelation, Database
 from linform.operators.wcoj import JOINS
@@ -75,18 +78,44 @@ def eval_dense(q: LinearQuery, db: Database, guard_atoms: list[int] | None = Non
     return eval_guarded(q, guard, db, drop_zero)
 
 
+def grid_box(q: LinearQuery, db: Database, basis: list[Form]) -> tuple[list[int], list[int]]:
+    """Least and largest values of body forms, by the narrowest range that an atom has for each."""
+    stats, lows, highs = db.stats(a.name for a in q.atoms), [], []
+    for f in basis:
+        ranges = [(stats[a.name]["low"][j], stats[a.name]["high"][j]) for a in q.atoms for j, g in enumerate(a.forms) if g == f]
+        low, high = min(ranges, key=lambda x: x[1] - x[0])
+        lows.append(low)
+        highs.append(high)
+    return lows, highs
+
+
+def field_values(q: LinearQuery, db: Database) -> Sequence[int]:
+    """Codes of the least subfield that holds the coefficients of the query and the values of the database."""
+    if isinstance(q.field, PrimeField):
+        return range(q.field.p)
+    known = {x for a in [*q.atoms, Atom("", q.head)] for f in a.forms for x in f}
+    values = None
+    for a in q.atoms:
+        for k in db[a.name].keys:
+            one = db[a.name].df.select(F.col(k).alias("v")).distinct()
+            values = one if values is None else values.union(one)
+    if values is not None:
+        known |= {r.v for r in values.distinct().limit(q.field.order).collect()}  # at most the field
+    return q.field.subfield(known)
+
+
 def eval_grid(q: LinearQuery, db: Database, drop_zero: bool = False) -> DataFrame:
-    """Dense evaluation over a full grid: the box of the largest values, or the whole of a finite field."""
+    """Dense evaluation over a full grid: the box of the values that forms can take, or the least subfield that holds
+    all values and coefficients."""
     q.check_safe()
     basis = [q.body[i] for i in linalg.independent(q.body, q.field)]
     spark = next(iter(db.relations.values())).df.sparkSession
     if q.field.characteristic:
-        lows, highs = [0] * len(basis), [q.field.order - 1] * len(basis)
+        codes = field_values(q, db)
+        guard = R.grid_guard(spark, basis, [0] * len(basis), [len(codes) - 1] * len(basis), codes if len(codes) < q.field.order else None)
     else:
-        stats = db.stats(a.name for a in q.atoms)
-        most = [min(stats[a.name]["most"] for a in q.atoms if f in a.forms) for f in basis]
-        lows, highs = [-m for m in most], most
-    return eval_guarded(q, R.grid_guard(spark, basis, lows, highs), db, drop_zero)
+        guard = R.grid_guard(spark, basis, *grid_box(q, db, basis))
+    return eval_guarded(q, guard, db, drop_zero)
 
 
 def sparse_guard(q: LinearQuery, db: Database, cover: covers.Cover, join: str = "levelwise") -> R.Guard:
@@ -126,13 +155,26 @@ def eval_plain(q: LinearQuery, db: Database, join: str = "levelwise", drop_zero:
 # ---- joins that solve the forms as they go ------------------------------------------------------------------
 
 
-def solved_join(q: LinearQuery, db: Database) -> R.Guard:
-    """All atoms joined one by one, with annotations multiplied into a column ann of the guard's frame.
+@dataclass(frozen=True)
+class JoinStep:
+    """An atom's turn: its tuples (_k0, ..., _a), equal sides of its equi-join (of what was joined before and of the
+    tuples), the positions that bring new columns, and the basis after it."""
+
+    atom: int
+    side: DataFrame
+    ours: tuple[Column, ...]
+    theirs: tuple[Column, ...]
+    new: tuple[int, ...]
+    basis: tuple[Form, ...]
+
+
+def join_steps(q: LinearQuery, db: Database) -> list[JoinStep]:
+    """The atoms one by one, those next that share most forms with what was joined.
 
     Forms that what was joined before determines become keys; forms that depend on it and on new columns are
     rearranged so that each side of the equality belongs to one input. Every join is thus an equi-join.
     """
-    left, basis, df = list(range(len(q.atoms))), [], None
+    left, basis, steps = list(range(len(q.atoms))), [], []
     while left:
         known = lambda i: sum(linalg.contains(basis, [f], q.field) for f in q.atoms[i].forms)  # noqa: E731, B023
         pick = max(left, key=lambda i: (known(i), len(q.atoms[i].forms) if not basis else 0, -i))
@@ -140,7 +182,7 @@ def solved_join(q: LinearQuery, db: Database) -> R.Guard:
         a, rel = q.atoms[pick], db[q.atoms[pick].name]
         base = R.consistent(rel, a.forms, q.field)
         side = base.select(*(F.col(k).alias(f"_k{j}") for j, k in enumerate(rel.keys)), F.col("ann").alias("_a"))
-        new, on = [], None
+        new, ours, theirs = [], [], []
         for j, f in enumerate(a.forms):
             extended = [*basis, *(a.forms[x] for x in new)]
             c = linalg.coordinates(f, extended, q.field) if extended else (() if not any(f) else None)
@@ -150,20 +192,45 @@ def solved_join(q: LinearQuery, db: Database) -> R.Guard:
             if not basis:
                 continue  # the relation among the atom's own forms was filtered
             whole, den = R.whole_form(c, q.field)
-            ours = q.field.linear([F.col(f"b{i}") for i in range(len(basis))], list(whole[: len(basis)]))
-            theirs = q.field.linear([F.col(f"_k{j}"), *(F.col(f"_k{x}") for x in new)], [q.field.of(den), *(q.field.neg(x) for x in whole[len(basis) :])])
             if any(whole[: len(basis)]) or not new:
-                on = (ours == theirs) if on is None else on & (ours == theirs)
+                ours.append(q.field.linear([F.col(f"b{i}") for i in range(len(basis))], list(whole[: len(basis)])))
+                theirs.append(q.field.linear([F.col(f"_k{j}"), *(F.col(f"_k{x}") for x in new)], [q.field.of(den), *(q.field.neg(x) for x in whole[len(basis) :])]))
+        basis = [*basis, *(a.forms[j] for j in new)]
+        steps.append(JoinStep(pick, side, tuple(ours), tuple(theirs), tuple(new), tuple(basis)))
+    return steps
+
+
+def solved_join(q: LinearQuery, db: Database) -> R.Guard:
+    """All atoms joined one by one, with annotations multiplied into a column ann of the guard's frame."""
+    df, width = None, 0
+    for s in join_steps(q, db):
         if df is None:
-            df = side.withColumnRenamed("_a", "ann")
+            df = s.side.withColumnRenamed("_a", "ann")
         else:
-            df = df.crossJoin(side) if on is None else df.join(side, on)
+            df = df.join(s.side, reduce(lambda x, y: x & y, (o == t for o, t in zip(s.ours, s.theirs, strict=True)))) if s.ours else df.crossJoin(s.side)
             df = df.withColumn("ann", db.semiring.times(F.col("ann"), F.col("_a"))).drop("_a")
-        for j in new:
-            df = df.withColumnRenamed(f"_k{j}", f"b{len(basis)}")
-            basis.append(a.forms[j])
-        df = df.select(*(f"b{i}" for i in range(len(basis))), "ann")
-    return R.Guard(df, tuple(basis))
+        for j in s.new:
+            df = df.withColumnRenamed(f"_k{j}", f"b{width}")
+            width += 1
+        df = df.select(*(f"b{i}" for i in range(width)), "ann")
+    return R.Guard(df, s.basis)
+
+
+def join_bound(q: LinearQuery, db: Database) -> float:
+    """Rows of the largest intermediate result of solved_join, at most: each step multiplies by the largest number of
+    tuples that one value of its keys meets. One job; kept with the statistics."""
+    if ("joined", q) not in db._stats:
+        steps, parts = join_steps(q, db), None
+        for i, s in enumerate(steps):
+            keyed = s.side.groupBy(*(t.alias(f"_t{j}") for j, t in enumerate(s.theirs) if i)).agg(F.count("*").alias("n"))
+            one = keyed.agg(F.lit(i).alias("step"), F.coalesce(F.max("n"), F.lit(0)).cast("double").alias("n"))
+            parts = one if parts is None else parts.unionAll(one)
+        rows, most = 1.0, 1.0
+        for r in sorted(parts.collect()):  # one row an atom
+            rows *= r.n
+            most = max(most, rows)
+        db._stats["joined", q] = most
+    return db._stats["joined", q]
 
 
 def eval_joined(q: LinearQuery, db: Database, drop_zero: bool = False) -> DataFrame:
@@ -180,13 +247,16 @@ def eval_joined(q: LinearQuery, db: Database, drop_zero: bool = False) -> DataFr
 
 def _on_tree(q: LinearQuery, db: Database, tree: trees.SpanTree, node_of, drop_zero: bool, watch=None) -> DataFrame:
     """Node queries bottom-up. node_of(v, bag, atoms, db): a frame with values of a basis, and with ann if it has
-    multiplied the annotations already."""
+    multiplied the annotations already. watch(v, guard, message): sees each node, and may return another frame of
+    the message's rows; seen(v, guard), if it has that attribute, another guard."""
     q.check_safe()
     heads: dict[int, tuple[Form, ...]] = {}
     for v in reversed(range(len(tree.parent))):
         atoms = tuple([q.atoms[a] for a in tree.covers[v]] + [Atom(trees.message(u), heads[u]) for u in tree.children(v)])
         node = LinearQuery(q.variables, tuple(tree.interface(q, v)), atoms, q.field)
         guard = node_of(v, list(tree.bags[v]), node, db)
+        if hasattr(watch, "seen"):
+            guard = watch.seen(v, guard)
         if v and not q.field.characteristic:  # messages take whole values
             scaled = []
             for f in node.head:
@@ -201,7 +271,7 @@ def _on_tree(q: LinearQuery, db: Database, tree: trees.SpanTree, node_of, drop_z
         else:
             out = eval_guarded(node, guard, db, bool(v) or drop_zero)
         if watch:
-            watch(v, guard, out)
+            out = watch(v, guard, out) or out
         if v == 0:
             return out
         keys = [F.col(f"h{i}").alias(f"c{i}") for i in range(len(node.head))]
@@ -323,6 +393,44 @@ def eval_inequality_pairs(q: LinearQuery, db: Database, drop_zero: bool = False)
     return _baseline(q, db, conditions, drop_zero)
 
 
+def inequality_bag(q: LinearQuery, db: Database) -> tuple[list[int], R.Guard]:
+    """The atoms of the first bag of the inequality plan, a whole cover of the span taken greedily, and their join."""
+    if q.field.characteristic:
+        raise ValueError("a finite field has no order")
+    inside: list[int] = []
+    while not linalg.contains([f for i in inside for f in q.atoms[i].forms], q.span(), q.field):
+        gain = lambda i: linalg.rank([f for k in (*inside, i) for f in q.atoms[k].forms], q.field)  # noqa: E731, B023
+        inside.append(max((i for i in range(len(q.atoms)) if i not in inside), key=lambda i: (gain(i), -i)))
+    return inside, solved_join(LinearQuery(q.variables, tuple(q.span()), tuple(q.atoms[i] for i in inside), q.field), db)
+
+
+def eval_inequality_bags(q: LinearQuery, db: Database, drop_zero: bool = False) -> DataFrame:
+    """Baseline: the tree plan of the inequality form, which has two adjacent bags for the variables of a condition.
+
+    Atoms that share variables are joined in one bag, up to a whole cover of the span; every other atom is a bag of its
+    own with a variable for each argument, tied to the first by pairs of inequalities. The first bag has up to size**c
+    rows for a whole cover of c atoms, however few of them the conditions leave: that is the cost of this plan. The
+    range that a pair of inequalities leaves is a run of equal keys.
+    """
+    q.check_safe()
+    inside, bag = inequality_bag(q, db)
+    cols = [F.col(c) for c in bag.columns]
+    df = bag.df
+    for i, a in enumerate(q.atoms):
+        if i in inside:
+            continue
+        rel, on = db[a.name], None
+        side = rel.df.select(*(F.col(k).alias(f"_k{j}") for j, k in enumerate(rel.keys)), F.col("ann").alias("_a"))
+        for j, f in enumerate(a.forms):
+            value, den = R.value_of(f, bag.basis, cols, q.field)
+            test = value == F.col(f"_k{j}") * F.lit(den).cast("long")  # key <= value and key >= value: one run of equal keys
+            on = test if on is None else on & test
+        df = df.crossJoin(side) if on is None else df.join(side, on)
+        df = df.withColumn("ann", db.semiring.times(F.col("ann"), F.col("_a"))).select(*bag.columns, "ann")
+    values = [R.value_of(f, bag.basis, cols, q.field) for f in q.head]
+    return _finish(df.select(*(v.alias(f"h{i}") for i, (v, _) in enumerate(values)), "ann"), db, [d for _, d in values], drop_zero)
+
+
 EVALUATORS = {
     "dense": eval_dense,
     "grid": eval_grid,
@@ -334,5 +442,6 @@ EVALUATORS = {
     "unguarded": eval_unguarded,
     "where": eval_where,
     "inequalities": eval_inequality_pairs,
+    "inequality_bags": eval_inequality_bags,
     "bruteforce": eval_bruteforce,
 }

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from dataclasses import dataclass
-from math import lcm
+from math import lcm, prod
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -120,16 +120,20 @@ def atoms_guard(q: LinearQuery, db: Database, atoms: list[int]) -> Guard:
     return Guard(df, tuple(basis))
 
 
-def grid_guard(spark: SparkSession, basis: list[Form], lows: list[int], highs: list[int]) -> Guard:
-    """All integer points of a box, decoded from one range: no data is read or dealt."""
+def grid_guard(spark: SparkSession, basis: list[Form], lows: list[int], highs: list[int], codes: list[int] | None = None) -> Guard:
+    """All integer points of a box, decoded from one range: no data is read or dealt. codes: values that points stand
+    for, by number (of a subfield, whose codes are not consecutive)."""
     sizes = [h - low + 1 for low, h in zip(lows, highs, strict=True)]
-    total = 1
-    for s in sizes:
-        total *= s
+    total = prod(sizes)
+    if total >= 1 << 63:
+        raise OverflowError(f"a grid of {total:.3g} points")
     df, rest, cols = spark.range(total), F.col("id"), []
     for i, (low, s) in enumerate(zip(lows, sizes, strict=True)):
-        cols.append((F.pmod(rest, F.lit(s)) + F.lit(low)).cast("long").alias(f"b{i}"))
-        rest = F.floor(rest / F.lit(s))
+        at = F.pmod(rest, F.lit(s).cast("long")) + F.lit(low).cast("long")
+        if codes is not None:
+            at = F.get(F.array(*map(F.lit, codes)), at.cast("int"))
+        cols.append(at.cast("long").alias(f"b{i}"))
+        rest = F.expr(f"id div {prod(sizes[: i + 1])}")
     return Guard(df.select(*cols), tuple(basis))
 
 

@@ -13,6 +13,9 @@ from linform.functions.fields import Q
 from linform.functions.semirings import COUNT, Semiring
 from linform.sources.shared import written
 
+#: Relative standard error of estimates of distinct values.
+DEVIATION = 0.05
+
 
 def keys_of(arity: int) -> list[str]:
     return [f"c{i}" for i in range(arity)]
@@ -103,9 +106,12 @@ class Database:
         return Database({n: replace(r, df=written(r.df, n)) for n, r in self.relations.items()}, self.semiring, self.field)
 
     def stats(self, names: Iterable[str] | None = None, exact: bool = False) -> dict[str, dict]:
-        """size, distinct values by column and largest absolute value of relations, one job for those not known yet.
+        """Of each relation: size, distinct values, least and largest value by column, largest absolute value, and for
+        numeric annotations the sum ("mass") and the largest ("top") of their absolute values. One job for those not
+        known yet.
 
-        Distinct values are estimated by sketches (one pass, no exchange of values) unless exact ones are asked for.
+        Distinct values are estimated by sketches (one pass, no exchange of values) unless exact ones are asked for;
+        estimates are raised by three standard errors, so that bounds made of them hold.
         """
         names = list(dict.fromkeys(names or self.relations))
         ask = [n for n in names if (n, exact) not in self._stats]
@@ -113,14 +119,17 @@ class Database:
             parts = None
             for n in ask:
                 r = self.relations[n]
-                cols = [F.count_distinct(k) if exact else F.approx_count_distinct(k) for k in r.keys]
-                most = [F.max(F.abs(F.col(k))) for k in r.keys]
+                cols = [F.count_distinct(k) if exact else F.least(F.count("*"), F.ceil(F.approx_count_distinct(k, DEVIATION) * (1 + 3 * DEVIATION))) for k in r.keys]
+                listed = lambda xs: (F.array(*xs) if xs else F.array()).cast("array<bigint>")
+                size = F.abs(F.col("ann").cast("double")) if r.semiring.kind in ("long", "double") or r.semiring.kind.startswith("decimal") else F.lit(None).cast("double")
                 one = r.df.agg(
-                    F.lit(n).alias("name"), F.count("*").alias("size"),
-                    (F.array(*cols) if cols else F.array().cast("array<bigint>")).alias("distinct"),
-                    F.coalesce(F.greatest(*most) if len(most) > 1 else most[0] if most else F.lit(0), F.lit(0)).cast("long").alias("most"),
+                    F.lit(n).alias("name"), F.count("*").alias("size"), listed(cols).alias("distinct"),
+                    listed([F.min(k) for k in r.keys]).alias("low"), listed([F.max(k) for k in r.keys]).alias("high"),
+                    F.sum(size).alias("mass"), F.max(size).alias("top"),
                 )
                 parts = one if parts is None else parts.unionAll(one)
             for row in parts.collect():  # one row a relation
-                self._stats[row.name, exact] = {"size": row["size"], "distinct": list(row["distinct"]), "most": row["most"]}
+                low, high = ([x or 0 for x in row[c]] for c in ("low", "high"))
+                told = {"size": row["size"], "distinct": list(row["distinct"]), "low": low, "high": high, "most": max([0, *map(abs, low), *map(abs, high)])}
+                self._stats[row.name, exact] = told | {"mass": row["mass"], "top": row["top"]}
         return {n: self._stats[n, exact] for n in names}

@@ -5,8 +5,12 @@ A reduct is a frame of distinct rows over some of the columns b0, b1, ..., with
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from functools import reduce
+from math import prod
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -20,13 +24,16 @@ def _projection(frame: DataFrame, have: list[int], want: list[int]) -> DataFrame
     return frame.select(*cols) if set(want) == set(have) else frame.select(*cols).distinct()
 
 
-def levelwise(reducts: Reducts, order: list[int]) -> DataFrame:
+def levelwise(reducts: Reducts, order: list[int], proposals: list[DataFrame] | None = None) -> DataFrame:
     """Bind one column after another. Each binding is prolonged by the reduct that offers it the fewest values, and
     the other reducts filter, so no level holds more rows than the size bound of the query it answers.
 
+    Jobs run while the plan is built: one for each level after the first two.
+
     The rows are split by their cheapest reduct before the joins, so none is dealt to a reduct that it doesn't use;
     the bindings are written before the split, so deep queries do not run their first levels again and again, and
-    every join deals both sides, so that adaptive execution can split hot prefixes.
+    every join deals both sides, so that adaptive execution can split hot prefixes. proposals: filled with the frames
+    of prolonged bindings before the other reducts filter them, for those who count what a join visits.
     """
     bound: list[int] = []
     state: DataFrame | None = None
@@ -38,21 +45,28 @@ def levelwise(reducts: Reducts, order: list[int]) -> DataFrame:
                 offers.append((_projection(frame, have, [*on, t]), on))
         if state is None:
             state = reduce(lambda a, b: a.join(b, [f"b{t}"], "left_semi"), [o for o, _ in offers])
+            if proposals is not None:
+                proposals.append(state)
         else:
-            state = _prolong(state, offers, t)
+            state = _prolong(state, offers, t, proposals)
         bound.append(t)
     return state
 
 
-def _prolong(state: DataFrame, offers: list[tuple[DataFrame, list[int]]], t: int) -> DataFrame:
+def _prolong(state: DataFrame, offers: list[tuple[DataFrame, list[int]]], t: int, proposals: list[DataFrame] | None = None) -> DataFrame:
     free = [o for o in offers if not o[1]]
     tied = [o for o in offers if o[1]]
     if not tied:
         values = reduce(lambda a, b: a.join(b, [f"b{t}"], "left_semi"), [o for o, _ in free])
-        return state.crossJoin(values)
+        out = state.crossJoin(values)
+        if proposals is not None:
+            proposals.append(out)
+        return out
     names = [[f"b{i}" for i in on] for _, on in tied]
     if len(tied) == 1:
         out = state.join(redealt(tied[0][0], names[0][0]), names[0])
+        if proposals is not None:
+            proposals.append(out)
     else:
         counted = state
         for s, ((offer, _), on) in enumerate(zip(tied, names, strict=True)):
@@ -63,6 +77,8 @@ def _prolong(state: DataFrame, offers: list[tuple[DataFrame, list[int]]], t: int
         for s, ((offer, _), on) in enumerate(zip(tied, names, strict=True)):
             mine = counted.where((F.col(f"_n{s}") == least) & ~taken).select(*state.columns)
             part = mine.join(redealt(offer, on[0]), on)
+            if proposals is not None:
+                proposals.append(part)
             for u, ((other, _), with_) in enumerate(zip(tied, names, strict=True)):
                 if u != s:
                     part = part.join(redealt(other, with_[0]), [*with_, f"b{t}"], "left_semi")
@@ -74,11 +90,133 @@ def _prolong(state: DataFrame, offers: list[tuple[DataFrame, list[int]]], t: int
     return out.select(*state.columns, f"b{t}")
 
 
-def hypercube(reducts: Reducts, order: list[int], cells: int = 64) -> DataFrame:
-    """One exchange: every column has a number of shares, a cell is one share of each, and a row goes to all cells
-    that agree with its columns. Cells are joined on their own, so the later joins need no further exchange of
-    whole reducts; a hot value meets as many cells as the other columns have shares.
+#: Rows that a cell of the hypercube should hold, bindings that a cell prolongs at a time.
+CELL_ROWS, AT_ONCE = 500_000, 1 << 16
+
+
+def shares(sizes: list[int], haves: list[list[int]], order: list[int], cells: int) -> dict[int, int]:
+    """How many parts each column is cut in, powers of two, at most `cells` together: those with least rows in a cell."""
+
+    def cuts(columns: int, left: int) -> Iterator[tuple[int, ...]]:
+        if not columns:
+            yield ()
+            return
+        for e in range(left + 1):
+            yield from ((1 << e, *rest) for rest in cuts(columns - 1, left - e))
+
+    every = (dict(zip(order, cut, strict=True)) for cut in cuts(len(order), max(1, cells).bit_length() - 1))
+    return min(every, key=lambda cut: (load(sizes, haves, cut), prod(cut.values())))
+
+
+def load(sizes: list[int], haves: list[list[int]], cut: dict[int, int]) -> float:
+    """Rows in a cell, were values spread evenly."""
+    return sum(n / prod(cut[i] for i in have) for n, have in zip(sizes, haves, strict=True))
+
+
+class Trie:
+    """Sorted distinct rows as levels of nodes: value codes, and where each node's children begin."""
+
+    def __init__(self, rows: np.ndarray):
+        rows = rows[np.lexsort(rows.T[::-1])]
+        n, new = len(rows), np.zeros(len(rows), bool)
+        self.values, self.starts, parents = [], [], np.zeros(n, np.int64)
+        for level in range(rows.shape[1]):
+            new = new | np.r_[True, rows[1:, level] != rows[:-1, level]][:n]
+            at = np.flatnonzero(new)
+            self.values.append(rows[at, level])
+            above = len(self.values[-2]) if level else 1
+            self.starts.append(np.searchsorted(parents[at], np.arange(above + 1)))
+            parents = np.cumsum(new) - 1
+        self.keys = [np.repeat(np.arange(len(s) - 1), np.diff(s)) << 32 | v for s, v in zip(self.starts, self.values, strict=True)]
+
+
+def local_join(rows: list[np.ndarray], haves: list[list[int]], order: list[int]) -> Iterator[np.ndarray]:
+    """The join of distinct rows in memory, one column after another: each binding is prolonged by the relation that
+    offers it the fewest values, the others are searched. Bindings go depth first, AT_ONCE at a time."""
+    if not all(len(r) for r in rows):
+        return
+    places = {i: [(r, have.index(i)) for r, have in enumerate(haves) if i in have] for i in order}
+    codes = {i: np.unique(np.concatenate([rows[r][:, c] for r, c in places[i]])) for i in order}
+    tries = []
+    for r, have in enumerate(haves):
+        mine = [i for i in order if i in have]
+        tries.append(Trie(np.stack([np.searchsorted(codes[i], rows[r][:, have.index(i)]) for i in mine], axis=1)))
+    levels = {i: [(r, [j for j in order if j in haves[r]].index(i)) for r, _ in places[i]] for i in order}
+
+    def prolong(depth: int, bound: np.ndarray, nodes: np.ndarray) -> Iterator[np.ndarray]:
+        """bound: codes of the columns so far, a row each; nodes: of each relation the node reached."""
+        if depth == len(order):
+            yield np.stack([codes[i][c] for i, c in zip(order, bound, strict=True)], axis=1)
+            return
+        t = order[depth]
+        low = np.stack([tries[r].starts[d][nodes[r]] for r, d in levels[t]])
+        counts = np.stack([tries[r].starts[d][nodes[r] + 1] for r, d in levels[t]]) - low
+        pick = counts.argmin(axis=0)
+        least = counts.min(axis=0)
+        ends = np.cumsum(least)
+        at = 0
+        while at < len(least):
+            done = ends[at - 1] if at else 0
+            end = max(at + 1, int(np.searchsorted(ends, done + AT_ONCE, "right")))
+            who = np.repeat(np.arange(at, end), least[at:end])
+            if len(who):
+                step = np.arange(len(who)) - np.repeat(ends[at:end] - least[at:end] - done, least[at:end])
+                value = np.empty(len(who), np.int64)
+                for s, (r, d) in enumerate(levels[t]):
+                    mine = pick[who] == s
+                    value[mine] = tries[r].values[d][low[s][who[mine]] + step[mine]]
+                keep, found = np.ones(len(who), bool), nodes[:, who].copy()
+                for r, d in levels[t]:
+                    key = nodes[r][who] << 32 | value
+                    place = np.minimum(np.searchsorted(tries[r].keys[d], key), len(tries[r].keys[d]) - 1)
+                    keep &= tries[r].keys[d][place] == key
+                    found[r] = place
+                if keep.any():
+                    yield from prolong(depth + 1, np.vstack([bound[:, who[keep]], value[None, keep]]), found[:, keep])
+            at = end
+
+    yield from prolong(0, np.zeros((0, 1), np.int64), np.zeros((len(rows), 1), np.int64))
+
+
+def hypercube(reducts: Reducts, order: list[int], cells: int | None = None) -> DataFrame:
+    """One exchange: every column is cut in a number of shares, by the reducts' sizes, a cell is one share of each, and
+    a row goes to all cells that agree with its columns. A cell is joined in memory by a worst-case-optimal join over
+    sorted Arrow columns, so no cell exceeds its size bound; a hot value meets as many cells as the other columns have
+    shares. The reducts are written first, as their sizes decide on the cells: CELL_ROWS rows in each at most.
     """
+    reducts = [(written(frame.select(*(f"b{i}" for i in have)), "reduct"), have) for frame, have in reducts]
+    sizes, haves = [frame.count() for frame, _ in reducts], [have for _, have in reducts]
+    spark = reducts[0][0].sparkSession
+    cells = cells or max(2 * spark.sparkContext.defaultParallelism, sum(sizes) // CELL_ROWS + 1)
+    cut = shares(sizes, haves, order, cells)
+    while load(sizes, haves, cut) > CELL_ROWS:
+        cells *= 2
+        cut = shares(sizes, haves, order, cells)
+    tagged: DataFrame | None = None
+    for r, (frame, have) in enumerate(reducts):
+        cell = F.lit(0)
+        for i in order:
+            share = F.pmod(F.xxhash64(f"b{i}"), F.lit(cut[i])).cast("int") if i in have else F.explode(F.array(*map(F.lit, range(cut[i]))))
+            frame = frame.withColumn(f"_s{i}", share)
+            cell = cell * cut[i] + F.col(f"_s{i}")
+        one = frame.select(cell.alias("_cell"), F.lit(r).alias("_r"), *((F.col(f"b{i}") if i in have else F.lit(None).cast("long")).alias(f"b{i}") for i in order))
+        tagged = one if tagged is None else tagged.unionByName(one)
+    dealt = tagged.repartitionById(prod(cut.values()), "_cell")  # one cell a partition
+
+    def joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = pa.Table.from_batches(batches) if (batches := list(batches)) else None
+        if held is None:
+            return
+        number = held.column("_r").to_numpy()
+        rows = [np.stack([held.column(f"b{i}").filter(pa.array(number == r)).to_numpy() for i in have], axis=1).astype(np.int64) for r, have in enumerate(haves)]
+        for out in local_join(rows, haves, order):
+            yield pa.RecordBatch.from_arrays([pa.array(out[:, k]) for k in range(len(order))], names=[f"b{i}" for i in order])
+
+    return dealt.mapInArrow(joined, ", ".join(f"b{i} long" for i in order))
+
+
+def hypercube_frames(reducts: Reducts, order: list[int], cells: int = 64) -> DataFrame:
+    """The same deal in DataFrames alone: cells are joined two by two, and each join deals its cells again."""
     side = max(1, round(cells ** (1 / max(1, len(order)))))
     parts: DataFrame | None = None
     done: list[int] = []
@@ -86,61 +224,15 @@ def hypercube(reducts: Reducts, order: list[int], cells: int = 64) -> DataFrame:
         cell = F.lit(0)
         spread = frame
         for i in order:
-            if i in have:
-                spread = spread.withColumn(f"_s{i}", F.pmod(F.xxhash64(f"b{i}"), F.lit(side)).cast("int"))
-            else:
-                spread = spread.withColumn(f"_s{i}", F.explode(F.array(*map(F.lit, range(side)))))
+            share = F.pmod(F.xxhash64(f"b{i}"), F.lit(side)).cast("int") if i in have else F.explode(F.array(*map(F.lit, range(side))))
+            spread = spread.withColumn(f"_s{i}", share)
             cell = cell * side + F.col(f"_s{i}")
-        spread = spread.withColumn("_cell", cell).select("_cell", *(f"b{i}" for i in have)).repartition("_cell")
-        if parts is None:
-            parts = spread
-        else:
-            parts = parts.join(spread, ["_cell", *(f"b{i}" for i in have if i in done)])
+        spread = spread.withColumn("_cell", cell).select("_cell", *(f"b{i}" for i in have))
+        parts = spread if parts is None else parts.join(spread, ["_cell", *(f"b{i}" for i in have if i in done)])
         done += [i for i in have if i not in done]
     return parts.select(*(f"b{i}" for i in order))
 
 
-def hypercube_local(reducts: Reducts, order: list[int], cells: int = 64) -> DataFrame:
-    """The same deal with a worst-case-optimal join in memory for each cell, through Arrow. A cell has to fit in a
-    worker; take as many cells as that needs."""
-    import pandas as pd
-
-    side = max(1, round(cells ** (1 / max(1, len(order)))))
-    tagged: DataFrame | None = None
-    for r, (frame, have) in enumerate(reducts):
-        cell = F.lit(0)
-        for i in order:
-            frame = frame.withColumn(f"_s{i}", F.pmod(F.xxhash64(f"b{i}"), F.lit(side)).cast("int") if i in have else F.explode(F.array(*map(F.lit, range(side)))))
-            cell = cell * side + F.col(f"_s{i}")
-        one = frame.select(cell.alias("_cell"), F.lit(r).alias("_r"), *((F.col(f"b{i}") if i in have else F.lit(None).cast("long")).alias(f"b{i}") for i in order))
-        tagged = one if tagged is None else tagged.unionByName(one)
-    haves = [have for _, have in reducts]
-
-    def joined(group: pd.DataFrame) -> pd.DataFrame:
-        rows: list[dict[int, int]] = [{}]
-        sets = [[tuple(x) for x in group.loc[group["_r"] == r, [f"b{i}" for i in have]].astype("int64").itertuples(index=False)] for r, have in enumerate(haves)]
-        indexes = {}
-        for depth, t in enumerate(order):
-            bound, new = order[:depth], []
-            asked = [r for r, have in enumerate(haves) if t in have]
-            for r in asked:
-                on = [i for i in bound if i in haves[r]]
-                index: dict[tuple, set] = {}
-                for x in sets[r]:
-                    at = dict(zip(haves[r], x, strict=True))
-                    index.setdefault(tuple(at[i] for i in on), set()).add(at[t])
-                indexes[r] = on, index
-            for row in rows:
-                offers = sorted((indexes[r][1].get(tuple(row[i] for i in indexes[r][0]), ()) for r in asked), key=len)
-                for v in offers[0]:
-                    if all(v in o for o in offers[1:]):
-                        new.append({**row, t: v})
-            rows = new
-        return pd.DataFrame([[row[i] for i in order] for row in rows], columns=[f"b{i}" for i in order])
-
-    return tagged.groupBy("_cell").applyInPandas(joined, ", ".join(f"b{i} long" for i in order))
-
-
 def binary(reducts: Reducts, order: list[int]) -> DataFrame:
     """Joins two by two, as the optimiser orders them: may exceed the size bound."""
     left, out, done = list(reducts), None, []
@@ -161,4 +253,4 @@ def size_bound(sizes: list[int], weights) -> float:
     return out
 
 
-JOINS = {"levelwise": levelwise, "hypercube": hypercube, "hypercube_local": hypercube_local, "binary": binary}
+JOINS = {"levelwise": levelwise, "hypercube": hypercube, "hypercube_frames": hypercube_frames, "binary": binary}

@@ -29,8 +29,8 @@ def _sum(coefficients, names: list[str]) -> str:
 
 
 def where_sql(q: LinearQuery, sources: dict[str, str], ann: str, modulus: int | None = None) -> str:
-    """SELECT over one source for each atom, equations as predicates. ann: the aggregate, with {product} for the
-    product of annotations; modulus: for a prime field."""
+    """SELECT over one source for each atom, equations as predicates. ann: the aggregate, with {product},
+    {plus} or {each} for the product, sum or list of annotations; modulus: for a prime field."""
     slots = [(i, j) for i, a in enumerate(q.atoms) for j in range(len(a.forms))]
     forms, names = [q.atoms[i].forms[j] for i, j in slots], [f"t{i}.c{j}" for i, j in slots]
     within = (lambda x: f"((({x}) % {modulus}) + {modulus}) % {modulus}") if modulus else (lambda x: x)
@@ -43,8 +43,9 @@ def where_sql(q: LinearQuery, sources: dict[str, str], ann: str, modulus: int |
             raise ValueError("a head form is not whole over the arguments")
         head.append(f"{within(_sum(whole, [names[b] for b in base]))} AS h{i}")
     product = " * ".join(f"t{i}.ann" for i in range(len(q.atoms)))
+    each = ", ".join(f"t{i}.ann" for i in range(len(q.atoms)))
     plus = " + ".join(f"t{i}.ann" for i in range(len(q.atoms)))
-    sql = f"SELECT {', '.join([*head, ann.format(product=product, plus=plus) + ' AS ann'])} FROM " + ", ".join(f"{sources[a.name]} t{i}" for i, a in enumerate(q.atoms))
+    sql = f"SELECT {', '.join([*head, ann.format(product=product, plus=plus, each=each) + ' AS ann'])} FROM " + ", ".join(f"{sources[a.name]} t{i}" for i, a in enumerate(q.atoms))
     if tests:
         sql += " WHERE " + " AND ".join(tests)
     if head:

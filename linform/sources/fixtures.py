@@ -51,6 +51,13 @@ def _literal(rows: list[tuple]) -> Fixture:
     return _both(n, f"SELECT {cols}, cast(ann as bigint) AS ann FROM (VALUES {', '.join(map(str, rows))}) AS t({names})")
 
 
+def _generated(n: int, selects: list[str], arity: int) -> Fixture:
+    """Rows made from the numbers i below n, without a table. selects: c0, c1, ... as SQL over i, a set of rows each."""
+    cols = ", ".join(f"cast(c{k} as bigint) AS c{k}" for k in range(arity))
+    made = lambda numbers: f"SELECT DISTINCT {cols}, cast(1 as bigint) AS ann FROM (" + " UNION ALL ".join(f"SELECT {x} FROM {numbers}" for x in selects) + ") AS t"
+    return Fixture(arity, made(f"(SELECT id AS i FROM range({n})) AS r"), made(f"(SELECT range AS i FROM range({n})) AS r"))
+
+
 def cents(c: str) -> str:
     return f"round({c} * 100)"
 
@@ -63,6 +70,14 @@ KERNELS = {
     "laplace": {(-1, 0): 1, (0, -1): 1, (0, 0): -4, (0, 1): 1, (1, 0): 1},
 }
 KERNEL_HOURS = 24
+#: Numbers of a hub.
+HUB = 3_000
+
+_EMB8 = (
+    "SELECT cast(vec_id as bigint) AS c0, cast(floor(pos / 8) as bigint) AS c1, cast(pos % 8 as bigint) AS c2, cast(round(cast(x as double) * 10000) as bigint) AS ann FROM (SELECT vec_id, posexplode(embedding) AS (pos, x) FROM embeddings) AS t",
+    "SELECT cast(vec_id as bigint) AS c0, cast(floor((pos - 1) / 8) as bigint) AS c1, cast((pos - 1) % 8 as bigint) AS c2, cast(round(cast(x as double) * 10000) as bigint) AS ann FROM (SELECT vec_id, unnest(embedding) AS x, generate_subscripts(embedding, 1) AS pos FROM embeddings) AS t",
+)
+_CHANNELS = "SELECT cast(floor(c0 / 4) as bigint) AS c0, c0 % 4 AS c1, c1 AS c2, c2 AS c3, ann FROM ({}) AS e"
 
 FIXTURES: dict[str, Fixture] = {
     "sup_cents": _counted([cents("s_acctbal")], "supplier"),
@@ -74,11 +89,7 @@ FIXTURES: dict[str, Fixture] = {
     "kern24": _literal([(t, KERNEL_HOURS - t) for t in range(KERNEL_HOURS)]),
     "user_k": _both(2, "SELECT user_id AS c0, {json:props:k} AS c1, count(*) AS ann FROM events GROUP BY 1, 2"),
     "img_sq": _counted(["l_suppkey", "l_quantity"], "lineitem"),
-    "emb8": Fixture(
-        3,
-        "SELECT cast(vec_id as bigint) AS c0, cast(floor(pos / 8) as bigint) AS c1, cast(pos % 8 as bigint) AS c2, cast(round(cast(x as double) * 10000) as bigint) AS ann FROM (SELECT vec_id, posexplode(embedding) AS (pos, x) FROM embeddings) AS t",
-        "SELECT cast(vec_id as bigint) AS c0, cast(floor((pos - 1) / 8) as bigint) AS c1, cast((pos - 1) % 8 as bigint) AS c2, cast(round(cast(x as double) * 10000) as bigint) AS ann FROM (SELECT vec_id, unnest(embedding) AS x, generate_subscripts(embedding, 1) AS pos FROM embeddings) AS t",
-    ),
+    "emb8": Fixture(3, *_EMB8),
     **{f"kern_{n}": _literal([(*k, w) for k, w in ws.items()]) for n, ws in KERNELS.items()},
     "kern_all": _literal([(f, *k, w) for f, ws in enumerate(KERNELS.values()) for k, w in ws.items()]),
     "skew_a": _counted(["l_suppkey", "l_quantity"], "lineitem"),
@@ -103,6 +114,15 @@ FIXTURES: dict[str, Fixture] = {
     "mod4": _counted(["l_suppkey % 4", "l_partkey % 4"], "lineitem"),
     "mod4b": _counted(["l_orderkey % 4", "l_linenumber % 4"], "lineitem"),
     **{f"len_{x}": _counted(["n_chars"], "documents", f"lang = '{x}'") for x in ("en", "fr", "de", "es")},
+    "mod2": _counted(["l_suppkey % 2", "l_partkey % 2"], "lineitem"),
+    "mod2b": _counted(["l_orderkey % 2", "l_linenumber % 2"], "lineitem"),
+    # hubs of HUB numbers, for the triangle and (in the coordinates X+Y, Y, Y+Z) for the skew triangle
+    "hub": _generated(HUB, ["0 AS c0, i AS c1", "i AS c0, 0 AS c1"], 2),
+    "hub_a": _generated(HUB, ["-i AS c0, i AS c1", "i AS c0, 0 AS c1"], 2),
+    "hub_b": _generated(HUB, ["0 AS c0, i AS c1", "i AS c0, -i AS c1"], 2),
+    # batches of four matrices as channels, and a layer of two filters over them
+    "emb8c": Fixture(4, *(_CHANNELS.format(x) for x in _EMB8)),
+    "kern_layer": _literal([(f, c, *at, w * (f + 1)) for f in range(2) for c in range(4) for at, w in list(KERNELS.values())[(f + c) % 4].items()]),
     "bag_a": _literal([(1, 1), (2, 3), (3, 4), (4, 5)]),
     "bag_b": _literal([(-1, 0, 1), (0, -1, 5), (0, 1, 3)]),
     "_zero": _literal([(0, 1)]),
@@ -112,7 +132,7 @@ FIXTURES: dict[str, Fixture] = {
 def frame(spark: SparkSession, sf_dir: str, name: str):
     """The fixture as a frame c0, ..., ann."""
     sql = FIXTURES[name].spark
-    used = [t for t in TABLES if re.search(rf"\b{t}\b", sql.partition("FROM")[2])]
+    used = [t for t in TABLES if re.search(rf"(FROM|JOIN) {t}\b", sql)]
     for t in used:
         sql = re.sub(rf"(FROM|JOIN) {t}\b", rf"\1 {{{t}}}", sql)
     return spark.sql(sql, **{t: table(spark, sf_dir, t) for t in used})

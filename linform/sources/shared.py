@@ -1,21 +1,30 @@
-"""Intermediate results as written tables in the shared folder."""
+"""Intermediate results as written tables in the shared folder.
+
+Tables stay until they are asked to go: what is written inside `scope` is deleted at its end, and `clean` deletes all
+that this process has written. Results that read a written table have to be consumed, or saved, before.
+"""
 
 from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-
 _OWN: list[str] = []
+_WRITTEN: list[str] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder in spark.checkpoint.dir; where that is unset, one of our own (local runs only)."""
+    """The folder in spark.checkpoint.dir; where that is unset, one of our own, in local runs only."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if found is None:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         if not _OWN:
             _OWN.append(f"file://{tempfile.mkdtemp(prefix='linform-')}")
         found = _OWN[0]
@@ -23,7 +32,9 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def new_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    _WRITTEN.append(path)
+    return path
 
 
 def written(df: DataFrame, name: str) -> DataFrame:
@@ -33,6 +44,26 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def clean(spark: SparkSession, keep: int = 0) -> int:
+    """Delete what this process has written in the shared folder, but for the first `keep` paths; returns how many."""
+    gone = _WRITTEN[keep:]
+    del _WRITTEN[keep:]
+    for path in gone:
+        at = spark._jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+    return len(gone)
+
+
+@contextmanager
+def scope(spark: SparkSession) -> Iterator[None]:
+    """What is written inside is deleted at the end, also after an error."""
+    before = len(_WRITTEN)
+    try:
+        yield
+    finally:
+        clean(spark, before)
+
+
 def redealt(df: DataFrame, key: str) -> DataFrame:
     """df with a long or binary key rewritten to itself, so that a join deals df anew by it.
 

@@ -35,7 +35,7 @@ def test_bag_example(spark):
     for name, run in E.EVALUATORS.items():
         assert rows(run(q, db)) == {(k,): v for k, v in BAG.items()}, name
         assert rows(run(moved, db)) == {(k,): v for k, v in BAG.items()}, name
-    for join in ("levelwise", "hypercube", "hypercube_local", "binary"):
+    for join in ("levelwise", "hypercube", "hypercube_frames", "binary"):
         assert rows(E.eval_sparse(q, db, join=join)) == {(k,): v for k, v in BAG.items()}
     assert rows(E.eval_dense(q, db, guard_atoms=[0, 1])) == {(k,): v for k, v in BAG.items()}
     # adding a guard as an atom changes nothing, and reducts do not exceed their relations
@@ -168,9 +168,10 @@ def test_guards_stay_within_their_bounds(spark):
     sizes = [db.stats([a.name])[a.name]["size"] for a in q.atoms]
     from linform.operators.wcoj import size_bound
 
-    for join in ("levelwise", "hypercube", "hypercube_local"):
+    for join in ("levelwise", "hypercube", "hypercube_frames"):
         assert E.sparse_guard(q, db, c, join).df.count() <= size_bound(sizes, c.weights) + 1e-6
     want = rows(E.eval_where(q, db))
+    assert want == rows(E.eval_inequality_bags(q, db))
     assert want == rows(E.eval_sparse(q, db)) == rows(E.eval_sparse(q, db, weights=(1, 1, 0))) == rows(E.eval_inequality_pairs(q, db))
     seen = []
     k = parse_query("Q() <- A(X1)*B(X2)*C(X3)*D(X4)*S(X1+X2+X3+X4)")
@@ -198,3 +199,74 @@ def test_relation_algebra(spark):
 
     b = Rel.of_frame(spark.createDataFrame([(1, None), (None, 2), (3, 4), (3, 4)], "x long, y long"), ["x", F.col("y") + 1])
     assert rows(b.df) == {(3, 5): 2}
+
+
+def test_grid_of_the_least_subfield(spark):
+    field = ExtensionField(2, 4)
+    four = field.subfield([0, 1, next(a for a in range(2, 16) if field.power(a, 4) == a)])
+    assert len(four) == 4 and len(field.subfield([2])) == 16 and field.subfield([0, 1]) == [0, 1]
+    assert all(field.add(a, b) in four and field.mul(a, b) in four for a in four for b in four)
+    rng = random.Random(3)
+    data = {n: {(rng.choice(four), rng.choice(four)): rng.randrange(1, 4) for _ in range(9)} for n in "RS"}
+    db = Database({n: Rel.of_rows(spark, [(*k, v) for k, v in x.items()], 2) for n, x in data.items()}, field=field)
+    q = parse_query("Q(A+B) <- R(A,C)*S(A+C,B)", field)
+    assert E.field_values(q, db) == four
+    plan = E.eval_grid(q, db)._jdf.queryExecution().optimizedPlan().toString()
+    assert "Range (0, 64," in plan  # 4**3 points, not 16**3
+    assert values(E.eval_grid(q, db, drop_zero=True), 1) == {tuple(map(Fr, k)): v for k, v in slow(q, data, field).items()}
+    wide = parse_query("Q(2A+B) <- R(A,C)*S(A+C,B)", field)
+    assert len(E.field_values(wide, db)) == 16
+    assert values(E.eval_grid(wide, db, drop_zero=True), 1) == {tuple(map(Fr, k)): v for k, v in slow(wide, data, field).items()}
+
+
+def test_hypercube_has_one_exchange_after_its_reducts(spark):
+    q = parse_query("Q(X,Y,Z) <- A(X,Y)*B(Y,Z)*C(X+Y,Y+Z)")
+    rng = random.Random(4)
+    mk = lambda: Rel.of_rows(spark, [(x, y, 1) for x, y in {(rng.randrange(9), rng.randrange(9)) for _ in range(50)}], 2)
+    db = Database({n: mk() for n in "ABC"})
+    found, basis = R.cover_reducts(q, db, list(covers.cover_number(q).basis))
+    from linform.operators import wcoj
+
+    df = wcoj.hypercube(found, list(range(len(basis))), cells=16)
+    df.collect()
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    final = plan.partition("Initial Plan")[0]
+    assert final.count("Exchange") == 1 and "Join" not in final and df.rdd.getNumPartitions() == 16
+    assert sorted(map(tuple, df.collect())) == sorted(map(tuple, wcoj.levelwise(found, list(range(len(basis)))).collect()))
+    cut = wcoj.shares([100, 100, 100], [[0, 1], [1, 2], [0, 2]], [0, 1, 2], 64)
+    assert cut == {0: 4, 1: 4, 2: 4} and wcoj.shares([10**6, 10, 10], [[0, 1], [1, 2], [0, 2]], [0, 1, 2], 64)[2] == 1
+
+
+def test_local_join_against_products():
+    import numpy as np
+
+    from linform.operators import wcoj
+
+    rng, kept = np.random.default_rng(1), wcoj.AT_ONCE
+    wcoj.AT_ONCE = 7
+    try:
+        for _ in range(20):
+            k = int(rng.integers(2, 5))
+            haves = [sorted(rng.choice(k, size=rng.integers(1, min(3, k) + 1), replace=False).tolist()) for _ in range(3)]
+            haves += [[i] for i in range(k) if not any(i in h for h in haves)]
+            relations = [np.unique(rng.integers(-4, 5, (40, len(h))), axis=0) for h in haves]
+            order = rng.permutation(k).tolist()
+            got = {tuple(int(x[order.index(i)]) for i in range(k)) for part in wcoj.local_join(relations, haves, order) for x in part}
+            sets = [{tuple(map(int, x)) for x in r} for r in relations]
+            assert got == {v for v in product(range(-4, 5), repeat=k) if all(tuple(v[i] for i in h) in s for h, s in zip(haves, sets, strict=True))}
+    finally:
+        wcoj.AT_ONCE = kept
+
+
+def test_tiles_equal_the_general_evaluators(spark):
+    from linform.operators import tensor
+
+    rng = random.Random(5)
+    image = Rel.of_rows(spark, [(v, c, i, j, rng.randrange(-5, 6)) for v in range(2) for c in range(3) for i in range(-3, 11) for j in range(9) if rng.random() < 0.7], 4)
+    kernel = Rel.of_rows(spark, [(f, c, k, m, rng.randrange(1, 4)) for f in range(2) for c in range(3) for k in range(-1, 3) for m in (-2, 0, 1)], 4)
+    q = parse_query("Q(V,F,I,J) <- A(V,C,I+L,J+K)*P(F,C,L,K)")
+    want = rows(E.eval_joined(q, Database({"A": image, "P": kernel})))
+    for tile in (1, 4, 64):
+        assert rows(tensor.convolve(image, kernel, shared=1, filters=1, channels=1, tile=tile)) == want
+    with pytest.raises(ValueError, match="fit together"):
+        tensor.convolve(image, kernel, filters=1)

@@ -1,18 +1,21 @@
 """Workloads on the given tables: known values, SQL on a small scale, planner, reports, streams, sources and sinks."""
 
+import os
+
 import duckdb
 import pytest
 from pyspark.sql import functions as F
 
+from linform import experiments
 from linform import workloads as W
 from linform.functions import semirings as S
 from linform.operators import evaluate as E
 from linform.operators import relational
 from linform.operators.relation import AnnotatedRelation as Rel
 from linform.operators.relation import Database
-from linform.plans import planner, sqlapi
+from linform.plans import covers, planner, sqlapi, trees
 from linform.plans.query import parse_query
-from linform.sources import fixtures, tables
+from linform.sources import fixtures, shared, tables
 from linform.streaming import delta
 
 SMALL, MIDDLE = "/root/testdata/sf0.001", "/root/testdata/sf0.01"
@@ -50,10 +53,80 @@ def test_against_sql(spark, duck, name):
 
 
 def test_adversarial_messages(spark):
-    rows = {(r.method, r.node): r.message_rows for r in W.adversarial_messages(spark, SMALL).collect()}
-    n = W.WIDE
-    assert [rows["unguarded", v] for v in (3, 2, 1)] == [n**2, n**3, n**4]
-    assert all(rows["domain", v] <= n**3 for v in (3, 2, 1)) and rows["domain", 1] <= n**2
+    rows = {(r.n, r.method, r.node): r.message_rows for r in W.adversarial_messages(spark, SMALL).collect()}
+    for n in W.WIDE:
+        assert [rows[n, "unguarded", v] for v in (3, 2, 1)] == [n**2, n**3, n**4]
+        assert all(rows[n, "domain", v] <= n**3 for v in (3, 2, 1)) and rows[n, "domain", 1] <= n**2
+
+
+def test_rows_grow_as_the_exponents_say(spark):
+    found = experiments.exponents(experiments.growth(spark))
+    assert abs(found["skew_triangle", "square", "sparse"] - 1.5) < 0.08
+    assert found["skew_triangle", "hub", "sparse"] < 1.05
+    assert all(found["skew_triangle", "hub", m] > 1.9 for m in ("integral", "inequality_bags", "joined"))
+    assert found["linear_guard", "hub", "sparse"] < 1.05 and found["linear_guard", "hub", "inequality_bags"] > 1.9
+    assert abs(found["ksum5", "spread", "unguarded"] - 4) < 0.01 and found["ksum5", "spread", "domain"] < 3.01
+
+
+def test_sql_by_hand_equals_sql_from_equations(duck):
+    key = lambda name, sql: sorted(map(str, duck.sql(sql).select(*[f'"{c}"' for c in sorted(duck.sql(sql).columns)]).fetchall()))
+    for name, text in W.BY_HAND.items():
+        assert key(name, W.WORKLOADS[name].sql(text)) == key(name, W.WORKLOADS[name].sql()), name
+
+
+def hubs(spark, n):
+    return Database({a: Rel(fixtures.frame(spark, SMALL, "hub").where(f"c0 < {n} and c1 < {n}"), 2) for a in "RST"})
+
+
+def test_planner_does_not_take_joins_without_a_bound(spark):
+    q = parse_query("Q(X,Y,Z) <- R(X,Y)*S(Y,Z)*T(X,Z)")
+    db = hubs(spark, fixtures.HUB)
+    assert planner.joined_estimate(q, db) < 20_000 and E.join_bound(q, db) >= 9_002_999
+    s = planner.plan(q, db)
+    assert s.name == "sparse" and s.bound < 500_000
+    q2 = parse_query("Q(X,Y,Z) <- R(X,Y)*S(Y,Z)")  # the answer itself is that large
+    with pytest.raises(ValueError, match="least bound"):
+        planner.plan(q2, db, budget=1e6)
+
+
+@pytest.mark.parametrize("name", ["skew_triangle", "triangle", "matmul", "quad_tree", "five_atoms", "linear_guard", "conv2d_blur", "exact_path4_count"])
+def test_intermediate_results_stay_within_the_stated_bounds(spark, name):
+    w = W.WORKLOADS[name]
+    q, db = w.query(), w.database(spark, SMALL)
+    s, bound = planner.plan(q, db), E.join_bound(q, db)
+    assert experiments.joined(q, db) <= bound
+    assert E.sparse_guard(q, db, covers.cover_number(q, costs=E.size_costs(q, db))).df.count() <= s.bounds["sparse"] * (1 + 1e-9)
+    for kind in ("domain", "size"):
+        most = []
+        E.EVALUATORS[kind](q, db, trees.find_tree(q, {"domain": "vec", "size": "frac"}[kind]), watch=lambda v, g, out: most.append(g.df.count()))
+        assert max(most) <= s.bounds[kind] * (1 + 1e-9)
+
+
+def test_sums_beyond_64_bits(spark):
+    w = W.WORKLOADS["quad_tree_min"]
+    q = w.query()
+    plain = Database({a: fixtures.relation(spark, MIDDLE, f) for a, f in w.atoms.items()})
+    s = planner.plan(q, plain)
+    small = Database({a: fixtures.relation(spark, SMALL, f) for a, f in w.atoms.items()})
+    assert planner.widened(q, small, planner.plan(q, small)).semiring is S.COUNT or planner.annotation_bound(q, small, planner.plan(q, small).bound) >= 2**63
+    assert planner.annotation_bound(q, plain, s.bound) >= planner.evaluate(q, plain).agg(F.sum("ann")).first()[0]
+    wide = W.quad_tree_wide(spark, MIDDLE)
+    assert dict(wide.dtypes)["ann"] == "decimal(38,0)"
+    assert sorted((r.h0, int(r.ann)) for r in wide.collect()) == sorted((r.h0, int(r.ann) * 10**8) for r in W.WORKLOADS["quad_tree"].run(spark, MIDDLE).collect())
+    far = Database({a: fixtures.relation(spark, SMALL, f).shift([2**62]) for a, f in w.atoms.items()})
+    with pytest.raises(OverflowError, match="keys"):
+        planner.widened(q, far, planner.plan(q, small))
+    vast = Database({a: fixtures.relation(spark, SMALL, f).scale(10**12) for a, f in w.atoms.items()})
+    with pytest.raises(OverflowError, match="38 digits"):
+        planner.evaluate(q, vast, widen=True)
+
+
+def test_written_tables_go(spark, tmp_path):
+    with shared.scope(spark):
+        kept = shared.written(spark.range(5), "some")
+        place = kept.inputFiles()[0].removeprefix("file://").rpartition("/")[0]
+        assert kept.count() == 5 and os.path.isdir(place)
+    assert not os.path.isdir(place)
 
 
 def test_planner(spark):
@@ -61,6 +134,7 @@ def test_planner(spark):
     q, db = w.query(), w.database(spark, SMALL)
     s = planner.plan(q, db)
     assert s.bound == min(s.bounds.values()) and s.name != "dense"
+    assert [r["seconds"] > 0 and r["shuffle_bytes"] >= 0 for r in planner.report(q, db, "size")] == [True, True]
     text = planner.explain(q, db)
     assert "chosen" in text and "node 0" in text
     with pytest.raises(ValueError, match="least bound"):
