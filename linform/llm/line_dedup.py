@@ -43,7 +43,12 @@ def keyed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
 def lines_of(text: Column) -> Column:
     """The lines that are not blank: (at: number among all lines, line)."""
     numbered = F.transform(F.split(text, "\n"), lambda x, i: F.struct(i.alias("at"), x.alias("line")))
-    return F.filter(numbered, lambda x: x["line"].rlike(_SOLID))
+    return F.filter(numbered, lambda x: is_solid(x["line"]))
+
+
+def is_solid(text: Column | str) -> Column:
+    """Whether a text holds anything but white space."""
+    return (F.col(text) if isinstance(text, str) else text).rlike(_SOLID)
 
 
 def words_in(line: Column) -> Column:

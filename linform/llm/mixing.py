@@ -21,6 +21,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -151,9 +152,27 @@ def domain_totals(docs: DataFrame, n: int) -> np.ndarray:
     return np.array([x or 0.0 for x in total])
 
 
+@dataclass(frozen=True)
+class Fit:
+    """The gradient at the solution (one row), the step that takes rates of one there, the miss at each point that was
+    taken (share of all tokens), and the domain totals asked for, as they were and as the rates make them."""
+
+    moves: np.ndarray
+    step: float
+    misses: list[float]
+    target: np.ndarray
+    before: np.ndarray
+    after: np.ndarray
+
+
 def fit_moves(docs: DataFrame, target: np.ndarray, pull: float = PULL, steps: int = STEPS, enough: float = ENOUGH, slow: float = SLOW) -> tuple[np.ndarray, float, list[float]]:
-    """(tokens, posterior, floor) and target totals -> the gradient at the solution (one row), the step that takes
-    rates of one there, and the miss at each point that was taken."""
+    """As fit, without the totals."""
+    found = fit(docs, target, pull, steps, enough, slow)
+    return found.moves, found.step, found.misses
+
+
+def fit(docs: DataFrame, target: np.ndarray, pull: float = PULL, steps: int = STEPS, enough: float = ENOUGH, slow: float = SLOW) -> Fit:
+    """(tokens, posterior, floor) and target totals -> the least-squares rates, as what every document's rate follows from."""
     n, now = len(target), domain_totals(docs, len(target))
     total = max(now.sum(), 1.0)
     share = np.maximum(now / total, 1e-6)
@@ -210,7 +229,7 @@ def fit_moves(docs: DataFrame, target: np.ndarray, pull: float = PULL, steps: in
         misses.append(miss(y, seen))
     else:
         raise RuntimeError(f"rates did not settle in {steps} steps")
-    return y[None], 1 / pull, misses
+    return Fit(y[None], 1 / pull, misses, target, now, (share * y - seen[1 : n + 1]) * total + target)
 
 
 def with_rates(docs: DataFrame, moves: np.ndarray, step: float, pull: float = PULL) -> DataFrame:
@@ -233,8 +252,13 @@ def copies(rate: Column, id_col: str = "doc_id") -> Column:
     return (F.floor(rate) + (chance < rate - F.floor(rate)).cast("long")).cast("int")
 
 
-def mix(docs: DataFrame, classifier: np.ndarray, weights: dict[str, float] | None = None, temper: float = 0.7, toxic: float = 0.0, low: float = 0.5, keep_clean: bool = False, domains: tuple[str, ...] = DOMAINS) -> DataFrame:
-    """docs with tokens, posterior, floor, rate and copies.
+def mix(docs: DataFrame, classifier: np.ndarray, **how) -> DataFrame:
+    """docs with tokens, posterior, floor, rate and copies, as `fitted` makes them."""
+    return fitted(docs, classifier, **how)[0]
+
+
+def fitted(docs: DataFrame, classifier: np.ndarray, weights: dict[str, float] | None = None, temper: float = 0.7, toxic: float = 0.0, low: float = 0.5, keep_clean: bool = False, domains: tuple[str, ...] = DOMAINS) -> tuple[DataFrame, Fit]:
+    """docs with tokens, posterior, floor, rate and copies, and the totals that the rates reach.
 
     classifier: as train gives it. weights: target share of each domain; where none are given, clean domains
     get their shares to the power `temper`, and toxic and low domains these multiples of theirs. The total is
@@ -260,8 +284,8 @@ def mix(docs: DataFrame, classifier: np.ndarray, weights: dict[str, float] | Non
     total = now.sum()
     if keep_clean:
         total *= max([1.0, *(share[d] / wanted[d] for d in clean if wanted[d] > 0)])
-    moves, step, _ = fit_moves(made, wanted * total)
-    return with_rates(made, moves, step).withColumn("copies", copies(F.col("rate")))
+    found = fit(made, wanted * total)
+    return with_rates(made, found.moves, found.step).withColumn("copies", copies(F.col("rate"))), found
 
 
 def known_domains(docs: DataFrame, labels: DataFrame) -> DataFrame:
