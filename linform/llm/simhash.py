@@ -38,7 +38,7 @@ BITS, SEED = 64, 42
 BLOCK, LANES, CHUNK = 16_384, 65_536, 65_536
 #: Bands of least hashes and hashes in each; radius beyond which no pair is of similarity 0.8 (mean 10 to 12 bits, deviation
 #: 3); members of a bucket of whole sets that one task compares.
-BANDS, IN_BAND, WIDE, SETS = 25, 5, 24, 1_024
+BANDS, IN_BAND, WIDE, SETS = 25, 5, 28, 1_024
 _MIX = np.random.default_rng(SEED).integers(0, 1 << 63, (2, BANDS * IN_BAND), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
 
@@ -140,20 +140,57 @@ def lanes_within(planes: np.ndarray, by: int, asked: np.ndarray, radius: int) ->
     return ~beyond
 
 
-def links_in_groups(values: np.ndarray, group: np.ndarray, radius: int, sure: Callable[[int, int], bool] | None = None) -> list[tuple[int, int]]:
+def links_in_groups(values: np.ndarray, group: np.ndarray, radius: int, sure: Callable[[int, int], bool] | None = None, known: np.ndarray | None = None) -> list[tuple[int, int]]:
     """Indices of pairs that form a spanning forest of the links inside groups. group: sorted numbers.
 
-    sure: if given, pairs within the radius are links only where it says so.
+    sure: if given, pairs within the radius are links only where it says so. known: numbers of components that values of
+    one group are in already; links inside them aren't asked for. Only pairs that do not hang together yet are compared;
+    a group that is one component is done, and where nearly all of a large group is one, the few others are compared
+    with all of it one by one.
     """
-    root: dict[int, int] = {}
+    root = np.arange(len(values))
+    if known is not None and len(values):
+        _, first, back = np.unique(np.stack([group, known]), axis=1, return_index=True, return_inverse=True)
+        root = first[back.ravel()]
 
     def find(x: int) -> int:
-        while (up := root.get(x, x)) != x:
-            root[x] = root.get(up, up)
-            x = up
+        while (up := int(root[x])) != x:
+            root[x] = root[up]
+            x = int(root[x])
         return x
 
-    out = []
+    def roots(at: np.ndarray) -> np.ndarray:
+        found = root[at]
+        while ((up := root[found]) != found).any():
+            found = up
+        return found
+
+    def link(a: int, b: int) -> bool:
+        ra, rb = find(a), find(b)
+        if ra == rb or not (sure is None or sure(a, b)):
+            return False
+        root[ra] = rb
+        out.append((a, b))
+        return True
+
+    def unsettled(lanes: np.ndarray, own: np.ndarray, label: np.ndarray, by: int) -> np.ndarray:
+        """Which lanes are of groups that have pairs `by` or more places apart to compare."""
+        starts = np.flatnonzero(np.r_[True, own[1:] != own[:-1]])
+        ends = np.r_[starts[1:], len(own)]
+        more = (np.minimum.reduceat(label, starts) != np.maximum.reduceat(label, starts)) & (ends - starts > by)
+        for g in np.flatnonzero(more & (ends - starts >= 256)):
+            place = slice(starts[g], ends[g])
+            names, counts = np.unique(label[place], return_counts=True)
+            others = np.flatnonzero(label[place] != names[counts.argmax()])
+            if len(others) * 8 <= ends[g] - starts[g]:
+                members = lanes[place]
+                for o in others:
+                    for i in np.flatnonzero(np.bitwise_count(values[members] ^ values[members[o]]) <= radius):
+                        link(int(members[o]), int(members[i]))
+                more[g] = False
+        return np.repeat(more, ends - starts)
+
+    out: list[tuple[int, int]] = []
     size = np.bincount(group)[group] if len(group) else np.zeros(0, int)
     order = np.lexsort((group, size))  # groups of a size together, so that passes end together
     order = order[size[order] > 1]
@@ -164,25 +201,25 @@ def links_in_groups(values: np.ndarray, group: np.ndarray, radius: int, sure: Ca
             end += 1
         lanes = order[at:end]
         at, by = end, 1
-        planes, own = bit_planes(values[lanes]), group[lanes]
-        while True:
-            same = own[by:] == own[:-by] if by < len(own) else np.zeros(0, bool)
-            if not (n := int(same.sum())):
-                break
-            if n < 0.5 * len(lanes) and len(lanes) > 512:  # leave out the groups that are done
-                keep = size[lanes] > by
+        planes, own, label = bit_planes(values[lanes]), group[lanes], roots(lanes)
+        while len(lanes) > by:
+            if by & by - 1 == 0:  # at passes 1, 2, 4, ...: leave out the groups that are done
+                keep = unsettled(lanes, own, label, by)
+                if not keep.any():
+                    break
                 if keep.sum() < 0.75 * len(lanes):
                     lanes = lanes[keep]
                     planes, own = bit_planes(values[lanes]), group[lanes]
-                    continue
-            packed = np.packbits(np.pad(same, (0, -len(same) % 64)), bitorder="little").view(np.uint64)
-            near = lanes_within(planes, by, packed, radius)
-            if near.any():
-                for i in np.flatnonzero(np.unpackbits(near.view(np.uint8), bitorder="little")):
-                    a, b = int(lanes[i]), int(lanes[i + by])
-                    if (ra := find(a)) != (rb := find(b)) and (sure is None or sure(a, b)):
-                        root[ra] = rb
-                        out.append((a, b))
+                label = roots(lanes)
+            same = own[by:] == own[:-by]
+            if not same.any():
+                break
+            same &= label[by:] != label[:-by]
+            if same.any():
+                packed = np.packbits(np.pad(same, (0, -len(same) % 64)), bitorder="little").view(np.uint64)
+                near = lanes_within(planes, by, packed, radius)
+                if near.any() and sum([link(int(lanes[i]), int(lanes[i + by])) for i in np.flatnonzero(np.unpackbits(near.view(np.uint8), bitorder="little"))]):
+                    label = roots(lanes)
             by += 1
     return out
 
@@ -251,16 +288,48 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return each.join(named, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
+def sure_links(pairs: DataFrame, sets: DataFrame, similar: float) -> DataFrame:
+    """Of pairs (a, b) of rows, those whose sets (row, held) are similar enough."""
+    with_a = pairs.join(sets.select(F.col("row").alias("a"), F.col("held").alias("held_a")), "a")
+    both = redealt(with_a, "b").join(sets.select(F.col("row").alias("b"), F.col("held").alias("held_b")), "b").select("a", "b", "held_a", "held_b")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            told = [jaccard(np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)) >= similar for x, y in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]
+            yield batch.select([0, 1]).filter(pa.array(told, pa.bool_()))
+
+    return both.mapInArrow(run, "a long, b long")
+
+
 def similar_links(sets: DataFrame, buckets: DataFrame, similar: float, block: int = SETS) -> DataFrame:
-    """(row, fp, held), (row, key) -> (a, b): links that connect all rows of a bucket whose sets are similar enough."""
+    """(row, fp, held), (row, key, root) -> (a, b): links that connect all rows of a bucket whose sets are similar
+    enough and that have not one root.
+
+    Buckets are cut in blocks: rows of a root that is common in the bucket in blocks of their own, the others by their
+    root. Two blocks of one root are not compared, so a bucket of one large component and few others is dealt out
+    about once.
+    """
     sizes = buckets.groupBy("key").agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("row")).alias("mark"), F.sum(F.xxhash64("row", F.lit(1)) % 1_000_003).alias("sum"))
-    once = sizes.where("n > 1").groupBy("n", "mark", "sum").agg(F.min("key").alias("key"))  # of bands with the same rows, one
-    cuts = once.select("key", F.when(F.col("n") > block, F.ceil(F.col("n") / (block / 2))).otherwise(1).cast("int").alias("cuts"))
-    placed = buckets.join(redealt(cuts, "key"), "key").withColumn("own", F.pmod(F.xxhash64("row"), F.col("cuts")).cast("int"))
-    spread = placed.select("row", "key", "own", F.explode(F.sequence(F.lit(0), F.col("cuts") - 1)).alias("other"))
+    once = sizes.groupBy("n", "mark", "sum").agg(F.min("key").alias("key"))  # of bands with the same rows, one
+    half = block // 2
+    common = buckets.groupBy("key", "root").agg(F.count("*").alias("m")).where(F.col("m") > half)
+    rest = common.groupBy("key").agg(F.sum("m").alias("in_common"))
+    cuts = once.select("key", "n").join(rest, "key", "left").withColumn("cuts", F.ceil((F.col("n") - F.coalesce("in_common", F.lit(0))) / half).cast("int"))
+    placed = buckets.join(redealt(cuts.select("key", "cuts"), "key"), "key").join(redealt(common, "key"), ["key", "root"], "left")
+    # a block: its root (null for rows of several roots) and a number
+    own = F.when(F.col("m").isNull(), F.pmod(F.xxhash64("root"), F.col("cuts"))).otherwise(F.pmod(F.xxhash64("row"), F.ceil(F.col("m") / half)))
+    placed = placed.withColumn("of", F.when(F.col("m").isNotNull(), F.col("root"))).withColumn("own", own.cast("long"))
+    placed = materialise(placed.select("row", "root", "key", F.struct("of", "own").alias("block")), "shingle-blocks")
+    blocks = materialise(placed.select("key", "block").distinct(), "shingle-block-names")
+    other = blocks.where("block.of is null").select("key", F.col("block").alias("i"))
+    every, whole = blocks.select("key", F.col("block").alias("j")), blocks.where("block.of is not null")
+    mixed = other.join(every, "key").where("j.of is not null or i <= j")
+    several = whole.groupBy("key").agg(F.min("block.of").alias("low"), F.max("block.of").alias("high")).where("low <> high").select("key")
+    apart = whole.select("key", F.col("block").alias("i")).join(several, "key").join(every, "key").where("i < j and j.of <> i.of")
+    ends = mixed.union(apart).select("key", F.xxhash64("i").alias("x"), F.xxhash64("j").alias("y"), F.explode(F.array_distinct(F.array("i", "j"))).alias("block"))
+    asked = placed.join(redealt(ends, "key"), ["key", "block"]).select("row", "root", "key", F.col("x").alias("i"), F.col("y").alias("j"))
     keys = ["key", "i", "j"]
-    asked = spread.select("row", "key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
-    tasks = asked.join(sets, "row").select(*keys, "row", "fp", "held").repartition(*keys).sortWithinPartitions(*keys)
+    tasks = asked.join(sets, "row").select(*keys, "row", "root", "fp", "held").repartition(*keys).sortWithinPartitions(*keys)
 
     def members(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple]:
         for batch in batches:
@@ -268,9 +337,9 @@ def similar_links(sets: DataFrame, buckets: DataFrame, similar: float, block: in
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for _, part in groupby(members(batches), key=lambda x: x[:3]):
-            rows, fps, held = zip(*(x[3:] for x in part), strict=True)
+            rows, root, fps, held = zip(*(x[3:] for x in part), strict=True)
             held = [np.frombuffer(x, np.uint64) for x in held]
-            pairs = links_in_groups(np.array(fps, np.int64).view(np.uint64), np.zeros(len(rows), np.int64), WIDE, lambda a, b, held=held: jaccard(held[a], held[b]) >= similar)
+            pairs = links_in_groups(np.array(fps, np.int64).view(np.uint64), np.zeros(len(rows), np.int64), WIDE, lambda a, b, held=held: jaccard(held[a], held[b]) >= similar, np.array(root, np.int64))
             if pairs:
                 yield pa.RecordBatch.from_pydict({"a": pa.array([rows[a] for a, _ in pairs], pa.int64()), "b": pa.array([rows[b] for _, b in pairs], pa.int64())})
 
@@ -281,6 +350,8 @@ def similar_groups(docs: DataFrame, row_col: str, text_col: str = "text", shingl
     """(row, root) of every row of docs: rows that links of similar sets of word shingles connect have one root.
 
     row_col: distinct longs, in a table that was written after they were given. Rows of equal sets are linked too.
+    Each bucket's rows are first held against its least row, which joins large groups of copies at a cost in proportion
+    to their size; buckets that are not one component then are compared whole.
     """
     texts = docs.select(F.col(row_col).alias("row"), F.col(text_col).cast("string").alias("text"))
 
@@ -300,9 +371,16 @@ def similar_groups(docs: DataFrame, row_col: str, text_col: str = "text", shingl
     marked = materialise(arrow_map(texts, marks, "row long, digest binary, keys array<long>"), "shingle-marks")
     firsts = materialise(marked.groupBy("digest").agg(F.min("row").alias("row")), "shingle-sets")
     dealt = marked.join(firsts.select("row"), "row", "left_semi").select("row", F.explode("keys").alias("key"))
-    shared = dealt.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").drop("n")
-    buckets = materialise(dealt.join(redealt(shared, "key"), "key").select("row", "key"), "shingle-buckets")
+    shared = dealt.groupBy("key").agg(F.count("*").alias("n"), F.min("row").alias("hub")).where("n > 1").drop("n")
+    buckets = materialise(dealt.join(redealt(shared, "key"), "key").select("row", "key", "hub"), "shingle-buckets")
     sets = materialise(arrow_map(texts.join(buckets.select("row").distinct(), "row"), whole, "row long, fp long, held binary"), "shingle-held")
-    roots = connected_components(similar_links(sets, buckets, similar))
-    rooted = firsts.join(roots, F.col("row") == F.col("node"), "left").select("digest", F.coalesce("root", "row").alias("root"))
-    return marked.select("row", "digest").join(redealt(rooted, "digest"), "digest").select("row", "root")
+    stars = materialise(sure_links(buckets.where("row <> hub").select(F.col("row").alias("a"), F.col("hub").alias("b")).distinct(), sets, similar), "shingle-stars")
+    roots = connected_components(stars)
+    rooted = buckets.join(redealt(roots, "node"), F.col("row") == F.col("node"), "left").select("row", "key", F.coalesce("root", "row").alias("root"))
+    rooted = materialise(rooted, "shingle-rooted")
+    split = rooted.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("key")
+    rest = materialise(similar_links(sets, rooted.join(redealt(split, "key"), "key"), similar), "shingle-links")
+    if not rest.isEmpty():
+        roots = connected_components(stars.union(rest))
+    named = firsts.join(roots, F.col("row") == F.col("node"), "left").select("digest", F.coalesce("root", "row").alias("root"))
+    return marked.select("row", "digest").join(redealt(named, "digest"), "digest").select("row", "root")

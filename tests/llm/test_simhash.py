@@ -51,6 +51,22 @@ def test_planes_find_all_links():
         assert roots(700, got) == roots(700, want)
 
 
+def test_large_groups_of_one_component_and_few_others():
+    rng = np.random.default_rng(6)
+    for n, strange in ((600, 5), (900, 60), (900, 0), (700, 400)):
+        flips = [np.uint64(sum(1 << int(k) for k in rng.choice(64, int(rng.integers(0, 3)), replace=False))) for _ in range(n)]
+        values = np.array([np.uint64(0x0F0F0F0F0F0F0F0F) ^ f for f in flips], np.uint64)
+        far = rng.integers(0, 1 << 63, 1 + strange // 4, dtype=np.uint64)
+        for i in rng.choice(n, strange, replace=False):
+            values[i] = rng.choice(far) ^ np.uint64(1 << int(rng.integers(0, 64)))
+        group = np.zeros(n, np.int64)
+        want = [(i, j) for i in range(n) for j in range(i) if int(values[i] ^ values[j]).bit_count() <= 3]
+        assert roots(n, H.links_in_groups(values, group, 3)) == roots(n, want)
+        known = np.array([0 if v ^ np.uint64(0x0F0F0F0F0F0F0F0F) < 2**63 else i + 1 for i, v in enumerate(values)])
+        tied = [(i, int(np.flatnonzero(known == known[i])[0])) for i in range(n)]
+        assert roots(n, H.links_in_groups(values, group, 3, known=known) + tied) == roots(n, want + tied)
+
+
 def test_masks_lose_no_pair():
     rng = random.Random(6)
     for count in (10, 10**7, 10**12):
@@ -124,7 +140,28 @@ def test_similar_links_of_cut_buckets(spark):
     held = [np.unique(np.append(rng.sample(list(base), 57), np.array([rng.getrandbits(64)], np.uint64)).astype(np.uint64)) for _ in range(200)]
     rows = [(i, int(np.uint64(H.majority(iter([x]))).view(np.int64)), x.tobytes()) for i, x in enumerate(held)]
     sets = spark.createDataFrame(rows, "row long, fp long, held binary")
-    buckets = sets.selectExpr("row", "7L as key")
-    got = H.similar_links(sets, buckets, 0.8, block=40).collect()
     want = [(i, j) for i in range(200) for j in range(i) if H.jaccard(held[i], held[j]) >= 0.8]
-    assert roots(200, [(r.a, r.b) for r in got]) == roots(200, want)
+    for known in (lambda i: i, lambda i: 0 if i < 120 else i, lambda i: i % 3 if i < 150 else i):  # none, one or three large components
+        buckets = spark.createDataFrame([(i, 7, known(i)) for i in range(200)], "row long, key long, root long")
+        got = [(r.a, r.b) for r in H.similar_links(sets, buckets, 0.8, block=40).collect()]
+        tied = [(i, known(i)) for i in range(200)]
+        assert roots(200, got + tied) == roots(200, want + tied)
+
+
+def test_large_group_of_near_copies(spark):
+    rng = random.Random(12)
+    words = [f"w{rng.randrange(5000)}" for _ in range(120)]
+    rows = []
+    for i in range(1500):
+        copy = list(words)
+        copy[rng.randrange(120)] = f"edit{i}"
+        rows.append(" ".join(copy))
+    bridge = words[:100] + [f"b{k}" for k in range(16)]
+    rows += [" ".join(bridge), " ".join(words[:90]), "alone " * 3]
+    sets = [H.shingle_set(t, 5) for t in rows]
+    df = spark.createDataFrame(list(enumerate(rows)), "row long, text string").repartition(4)
+    got = {r.row: r.root for r in H.similar_groups(df, "row").collect()}
+    assert len(got) == len(rows) and len({got[i] for i in range(1500)}) == 1
+    for i in (1500, 1501, 1502):
+        near = any(H.jaccard(sets[i], sets[j]) >= 0.8 for j in range(1500))
+        assert (got[i] == got[0]) == near
