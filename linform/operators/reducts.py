@@ -92,8 +92,9 @@ def cover_reducts(q: LinearQuery, db: Database, vectors: list[Form]) -> tuple[li
 
 
 def unary_reduct(q: LinearQuery, db: Database, form: Form, name: str) -> DataFrame:
-    """Distinct values of a body form in the first atom that has it."""
-    atom = next(a for a in q.atoms if form in a.forms)
+    """Distinct values of a body form, in the atom that has fewest of them as far as statistics are known."""
+    few = lambda a: db.known(a.name, "distinct", a.forms.index(form))
+    atom = min((a for a in q.atoms if form in a.forms), key=few)
     return consistent(db[atom.name], atom.forms, q.field).select(F.col(f"c{atom.forms.index(form)}").alias(name)).distinct()
 
 

@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Iterable
 from dataclasses import dataclass, replace
 from dataclasses import field as slot
+from math import inf
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -98,7 +99,13 @@ class Database:
         return self.relations[name]
 
     def plus(self, more: dict[str, AnnotatedRelation]) -> Database:
-        return Database({**self.relations, **more}, self.semiring, self.field)
+        told = {k: v for k, v in self._stats.items() if k[0] not in more and k[0] in self.relations}
+        return Database({**self.relations, **more}, self.semiring, self.field, told)
+
+    def known(self, name: str, what: str, at: int) -> float:
+        """A statistic of a column, infinite if nobody asked for the relation's yet."""
+        told = self._stats.get((name, True)) or self._stats.get((name, False))
+        return told[what][at] if told else inf
 
     def settled(self) -> Database:
         """Each relation written once in the shared folder: evaluators use a relation for statistics, reducts and
