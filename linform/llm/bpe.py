@@ -13,7 +13,10 @@ through the machine spells the only token sequence that the merges give for its
 by arc, and decoding emits the labels of the arcs.
 
 Null texts count as empty: no ids, empty decoded text. A string of a special token inside a text becomes that
-token's id, as in the public library. Ids outside the vocabulary are dropped on decoding.
+token's id, as in the public library (where two begin at one place, the longer). Ids outside the vocabulary are dropped
+on decoding, null lists count as empty. Rows are encoded each on its own, so rows that repeat or tie give equal results
+and stay; an empty table gives an empty result. Columns of the same names as those added are replaced. Texts of any
+length are encoded whole; words of any length are, too, without being kept.
 """
 
 from __future__ import annotations

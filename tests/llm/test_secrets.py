@@ -1,4 +1,5 @@
 import hashlib
+import random
 import re
 
 from linform.llm import secrets as S
@@ -54,3 +55,44 @@ def test_value_in_many_repositories_of_one_owner_is_an_example(spark):
     assert by[0].repos == [S.MAX_REPOS + 1] and by[0].owners == [1]
     assert all((by[500 + i].n_owned, by[500 + i].n_live, by[500 + i].n_example) == (1, 1, 0) for i in range(S.MAX_REPOS))
     assert by[500].repos == [S.MAX_REPOS] * 2
+
+
+def test_spans_against_brute_force(spark):
+    """All spans and counts of a random corpus with planted values, from plain dictionaries."""
+    rng = random.Random(9)
+    letters = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"
+    value = lambda n: "aB3" + "".join(rng.choice(letters) for _ in range(n))
+    planted = {value(24): kind for kind in ["owned"] * 12 + ["copied"] * 4 + ["repos"] * 4}
+    texts = {}
+    for d in range(260):
+        texts[d] = [f"source{d % 9}", [rng.choice(["plain words", "token=abcdefgh12", "AKIA" + "Q7" * 8, "ab" * 17, "x1 " * 3, "Long" * 9]) for _ in range(rng.randrange(4))]]
+    for v, kind in planted.items():
+        if kind == "owned":  # some repositories of one owner
+            where = [d for d in texts if d % 9 == len(v) % 9][: rng.randrange(1, S.MAX_REPOS + 1)]
+        elif kind == "copied":  # few repositories of several owners
+            where = rng.sample(range(260), 5)
+        else:  # one owner, too many repositories
+            where = [d for d in texts if d % 9 == 4][: S.MAX_REPOS + 3]
+        for d in where:
+            texts[d][1].append(rng.choice([f"see {v} here", f"password: {v}", v]))
+    rows = [(d, "\n".join(lines), source) for d, (source, lines) in texts.items()]
+    found = {}
+    for d, t, _ in rows:
+        base = S.base_spans(t)
+        found[d] = base + [(m.start(), 3, m.end(), m[0]) for m in S.BARE.finditer(t) if S.entropy(m[0]) >= 3.0 and not any(m.start() < b[2] and b[0] < m.end() for b in base)]
+    repos, owners = {}, {}
+    for d, _, source in rows:
+        for *_, v in found[d]:
+            repos.setdefault(v, set()).add(d)
+            owners.setdefault(v, set()).add(source)
+    few = lambda v: len(owners[v]) <= S.MAX_OWNERS and len(repos[v]) <= S.MAX_REPOS
+    want, truth = {}, []
+    for d in found:
+        kept = sorted((a, k, b) for a, k, b, v in found[d] if k < 3 or few(v))
+        live = sum(k < 3 and few(v) and S.entropy(v) >= 3.0 for a, k, b, v in found[d])
+        want[d] = ",".join(f"{S.KINDS[k]}:{a}:{b}" for a, k, b in kept), live, sum(k < 3 and not few(v) for a, k, b, v in found[d])
+        truth += [planted.get(v) for a, k, b, v in found[d] if k == 3 and few(v)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(4)
+    got = {r.doc_id: (r.spans, r.n_live, r.n_example) for r in S.scan_secrets(df).collect()}
+    assert got == want
+    assert len(truth) > 20 and set(truth) == {"owned"}  # every added span is a planted value of one owner
