@@ -41,9 +41,13 @@ def _finish(found: DataFrame, db: Database, head: list[tuple], drop_zero: bool)
 
 
 def eval_guarded(q: LinearQuery, guard: R.Guard, db: Database, drop_zero: bool = False) -> DataFrame:
-    """For each guard row the keys of every atom follow by linear expressions; each lookup finds one tuple at most."""
+    """For each guard row the keys of every atom follow by linear expressions; each lookup finds one tuple at most.
+    Atoms whose annotations the guard carries need no lookup."""
     df, cols, ann = guard.df, [F.col(c) for c in guard.columns], None
     for i, a in enumerate(q.atoms):
+        if f"_a{i}" in guard.df.columns:
+            ann = F.col(f"_a{i}") if ann is None else db.semiring.times(ann, F.col(f"_a{i}"))
+            continue
         rel = db[a.name]
         side = rel.df.select(*(F.col(k).alias(f"_k{i}_{j}") for j, k in enumerate(rel.keys)), F.col("ann").alias(f"_a{i}"))
         if rel.arity and not rel.bucketed:
@@ -118,9 +122,10 @@ def eval_grid(q: LinearQuery, db: Database, drop_zero: bool = False) -> DataFram
     return eval_guarded(q, guard, db, drop_zero)
 
 
-def sparse_guard(q: LinearQuery, db: Database, cover: covers.Cover, join: str = "levelwise") -> R.Guard:
-    """The join of one reduct for each atom onto the cover's vectors."""
-    found, basis = R.cover_reducts(q, db, list(cover.basis))
+def sparse_guard(q: LinearQuery, db: Database, cover: covers.Cover, join: str = "levelwise", carry: bool = False) -> R.Guard:
+    """The join of one reduct for each atom onto the cover's vectors. carry: with annotations, for an evaluation of the
+    same query (levelwise joins only)."""
+    found, basis = R.cover_reducts(q, db, list(cover.basis), carry and join == "levelwise")
     if not basis:
         return R.product_guard(q, db, [])
     return R.Guard(JOINS[join](found, list(range(len(basis)))), tuple(basis))
@@ -138,7 +143,7 @@ def eval_sparse(q: LinearQuery, db: Database, weights=None, join: str = "levelwi
         cover = covers.given_cover(q, weights)
     else:
         cover = covers.cover_number(q, costs=size_costs(q, db) if by_size else None)
-    return eval_guarded(q, sparse_guard(q, db, cover, join), db, drop_zero)
+    return eval_guarded(q, sparse_guard(q, db, cover, join, carry=True), db, drop_zero)
 
 
 def eval_plain(q: LinearQuery, db: Database, join: str = "levelwise", drop_zero: bool = False) -> DataFrame:
@@ -146,8 +151,11 @@ def eval_plain(q: LinearQuery, db: Database, join: str = "levelwise", drop_zero:
     if not q.is_plain():
         raise ValueError("the query is not plain")
     q.check_safe()
-    variables = [f for f in q.body]
-    found = [(R.reduct(db[a.name], a.forms, list(dict.fromkeys(a.forms)), [f"b{variables.index(f)}" for f in dict.fromkeys(a.forms)], q.field), [variables.index(f) for f in dict.fromkeys(a.forms)]) for a in q.atoms if a.forms]
+    variables, found = [f for f in q.body], []
+    for n, a in enumerate(q.atoms):
+        mine = [variables.index(f) for f in dict.fromkeys(a.forms)]
+        if mine:  # one to one: each distinct variable of the atom is a column
+            found.append((R.reduct(db[a.name], a.forms, [variables[i] for i in mine], [f"b{i}" for i in mine], q.field, f"_a{n}" if join == "levelwise" else None), mine))
     guard = R.Guard(JOINS[join](found, list(range(len(variables)))), tuple(variables))
     return eval_guarded(q, guard, db, drop_zero)
 

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from dataclasses import dataclass
-from math import lcm, prod
+from math import inf, lcm, prod
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -51,8 +51,9 @@ def consistent(relation: AnnotatedRelation, forms, field) -> DataFrame:
     return df
 
 
-def reduct(relation: AnnotatedRelation, forms, targets: list[Form], names: list[str], field) -> DataFrame:
-    """Distinct values of targets (in the span of the atom's forms, whole over an independent choice of them)."""
+def reduct(relation: AnnotatedRelation, forms, targets: list[Form], names: list[str], field, carry: str | None = None) -> DataFrame:
+    """Distinct values of targets (in the span of the atom's forms, whole over an independent choice of them). carry: a
+    column for the annotations; for targets that are one to one with the tuples."""
     base = linalg.independent(list(forms), field)
     cols = [F.col(f"c{i}") for i in base]
     out = []
@@ -61,7 +62,8 @@ def reduct(relation: AnnotatedRelation, forms, targets: list[Form], names: list[
         if den != 1:
             raise ValueError("scale the target first")
         out.append(value.alias(name))
-    return consistent(relation, forms, field).select(*out).distinct()
+    rows = consistent(relation, forms, field)
+    return rows.select(*out, F.col("ann").alias(carry)) if carry else rows.select(*out).distinct()
 
 
 def scaled_targets(q: LinearQuery, vectors: list[Form]) -> list[Form]:
@@ -80,14 +82,19 @@ def scaled_targets(q: LinearQuery, vectors: list[Form]) -> list[Form]:
     return out
 
 
-def cover_reducts(q: LinearQuery, db: Database, vectors: list[Form]) -> tuple[list[tuple[DataFrame, list[int]]], list[Form]]:
-    """One reduct for each atom onto the (scaled) vectors in its span: (frame with b-columns, their numbers)."""
+def cover_reducts(q: LinearQuery, db: Database, vectors: list[Form], carry: bool = False) -> tuple[list[tuple[DataFrame, list[int]]], list[Form]]:
+    """One reduct for each atom onto the (scaled) vectors in its span: (frame with b-columns, their numbers).
+
+    carry: reducts that are one to one with their relation (their vectors span the atom's) bring its annotations along,
+    in columns _a<number of the atom>, and need not be made distinct.
+    """
     basis = scaled_targets(q, vectors)
     out = []
-    for a in q.atoms:
+    for n, a in enumerate(q.atoms):
         mine = [i for i, b in enumerate(basis) if any(a.forms) and linalg.contains(list(a.forms), [b], q.field)]
         if mine:
-            out.append((reduct(db[a.name], a.forms, [basis[i] for i in mine], [f"b{i}" for i in mine], q.field), mine))
+            whole = carry and len(mine) == linalg.rank(list(a.forms), q.field)
+            out.append((reduct(db[a.name], a.forms, [basis[i] for i in mine], [f"b{i}" for i in mine], q.field, f"_a{n}" if whole else None), mine))
     return out, basis
 
 
@@ -99,8 +106,10 @@ def unary_reduct(q: LinearQuery, db: Database, form: Form, name: str) -> DataFra
 
 
 def product_guard(q: LinearQuery, db: Database, forms: list[Form]) -> Guard:
-    """The cross product of unary reducts of independent body forms."""
-    df = None
+    """The cross product of unary reducts of independent body forms; an error if it is known to exceed the budget."""
+    df, rows = None, prod(min(db.known(a.name, "distinct", a.forms.index(f)) for a in q.atoms if f in a.forms) for f in forms)
+    if db.budget < rows < inf:
+        raise ValueError(f"a cross product of {rows:.3g} rows, more than {db.budget:.3g}")
     for i, f in enumerate(forms):
         one = unary_reduct(q, db, f, f"b{i}")
         df = one if df is None else df.crossJoin(one)

@@ -94,13 +94,15 @@ class Database:
     semiring: Semiring = COUNT
     field: object = Q
     _stats: dict = slot(default_factory=dict)
+    #: Rows that a cross product of reducts may have, as far as statistics tell.
+    budget: float = inf
 
     def __getitem__(self, name: str) -> AnnotatedRelation:
         return self.relations[name]
 
     def plus(self, more: dict[str, AnnotatedRelation]) -> Database:
         told = {k: v for k, v in self._stats.items() if k[0] not in more and k[0] in self.relations}
-        return Database({**self.relations, **more}, self.semiring, self.field, told)
+        return Database({**self.relations, **more}, self.semiring, self.field, told, self.budget)
 
     def known(self, name: str, what: str, at: int) -> float:
         """A statistic of a column, infinite if nobody asked for the relation's yet."""
@@ -110,7 +112,7 @@ class Database:
     def settled(self) -> Database:
         """Each relation written once in the shared folder: evaluators use a relation for statistics, reducts and
         lookups, and would otherwise scan and sum its base tables each time."""
-        return Database({n: replace(r, df=written(r.df, n)) for n, r in self.relations.items()}, self.semiring, self.field)
+        return Database({n: replace(r, df=written(r.df, n)) for n, r in self.relations.items()}, self.semiring, self.field, dict(self._stats), self.budget)
 
     def stats(self, names: Iterable[str] | None = None, exact: bool = False) -> dict[str, dict]:
         """Of each relation: size, distinct values, least and largest value by column, largest absolute value, and for

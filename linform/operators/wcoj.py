@@ -1,6 +1,7 @@
 """Worst-case-optimal joins of reducts as compositions of DataFrame operators.
 
-A reduct is a frame of distinct rows over some of the columns b0, b1, ..., with the numbers of those columns.
+A reduct is a frame of distinct rows over some of the columns b0, b1, ..., with the numbers of those columns. Further
+columns (annotations of the rows) are carried along by levelwise, and left out by the others.
 """
 
 from __future__ import annotations
@@ -19,9 +20,18 @@ from linform.sources.shared import redealt, written
 Reducts = list[tuple[DataFrame, list[int]]]
 
 
-def _projection(frame: DataFrame, have: list[int], want: list[int]) -> DataFrame:
+def _projection(frame: DataFrame, have: list[int], want: list[int]) -> tuple[DataFrame, list[str]]:
+    """The rows of some columns; once all are wanted, with what the reduct carries."""
     cols = [f"b{i}" for i in want]
-    return frame.select(*cols) if set(want) == set(have) else frame.select(*cols).distinct()
+    if set(want) != set(have):
+        return frame.select(*cols).distinct(), []
+    carried = [c for c in frame.columns if c not in cols]
+    return frame.select(*cols, *carried), carried
+
+
+def _kept(state: DataFrame, offer: DataFrame, carried: list[str], on: list[str]) -> DataFrame:
+    """The bindings that a reduct has, with what it carries."""
+    return state.join(offer, on) if carried else state.join(offer, on, "left_semi")
 
 
 def levelwise(reducts: Reducts, order: list[int], proposals: list[DataFrame] | None = None) -> DataFrame:
@@ -42,9 +52,11 @@ def levelwise(reducts: Reducts, order: list[int], proposals: list[DataFrame] | N
         for frame, have in reducts:
             if t in have:
                 on = [i for i in bound if i in have]
-                offers.append((_projection(frame, have, [*on, t]), on))
+                offers.append((*_projection(frame, have, [*on, t]), [f"b{i}" for i in on]))
         if state is None:
-            state = reduce(lambda a, b: a.join(b, [f"b{t}"], "left_semi"), [o for o, _ in offers])
+            state = offers[0][0]
+            for offer, carried, _ in offers[1:]:
+                state = _kept(state, offer, carried, [f"b{t}"])
             if proposals is not None:
                 proposals.append(state)
         else:
@@ -53,41 +65,43 @@ def levelwise(reducts: Reducts, order: list[int], proposals: list[DataFrame] | N
     return state
 
 
-def _prolong(state: DataFrame, offers: list[tuple[DataFrame, list[int]]], t: int, proposals: list[DataFrame] | None = None) -> DataFrame:
-    free = [o for o in offers if not o[1]]
-    tied = [o for o in offers if o[1]]
+def _prolong(state: DataFrame, offers: list[tuple[DataFrame, list[str], list[str]]], t: int, proposals: list[DataFrame] | None = None) -> DataFrame:
+    free, tied = [o for o in offers if not o[2]], [o for o in offers if o[2]]
+    new = [f"b{t}", *(c for _, carried, _ in offers for c in carried)]
     if not tied:
-        values = reduce(lambda a, b: a.join(b, [f"b{t}"], "left_semi"), [o for o, _ in free])
+        values = free[0][0]
+        for offer, carried, _ in free[1:]:
+            values = _kept(values, offer, carried, [f"b{t}"])
         out = state.crossJoin(values)
         if proposals is not None:
             proposals.append(out)
-        return out
-    names = [[f"b{i}" for i in on] for _, on in tied]
+        return out.select(*state.columns, *new)
     if len(tied) == 1:
-        out = state.join(redealt(tied[0][0], names[0][0]), names[0])
+        offer, _, on = tied[0]
+        out = state.join(redealt(offer, on[0]), on)
         if proposals is not None:
             proposals.append(out)
     else:
         counted = state
-        for s, ((offer, _), on) in enumerate(zip(tied, names, strict=True)):
+        for s, (offer, _, on) in enumerate(tied):
             counted = counted.join(redealt(offer.groupBy(*on).agg(F.count("*").alias(f"_n{s}")), on[0]), on)
         counted = written(counted, "bindings")  # each slice below reads it
         least = F.least(*(F.col(f"_n{s}") for s in range(len(tied))))
         taken, parts = F.lit(False), []
-        for s, ((offer, _), on) in enumerate(zip(tied, names, strict=True)):
+        for s, (offer, _, on) in enumerate(tied):
             mine = counted.where((F.col(f"_n{s}") == least) & ~taken).select(*state.columns)
             part = mine.join(redealt(offer, on[0]), on)
             if proposals is not None:
                 proposals.append(part)
-            for u, ((other, _), with_) in enumerate(zip(tied, names, strict=True)):
+            for u, (other, carried, with_) in enumerate(tied):
                 if u != s:
-                    part = part.join(redealt(other, with_[0]), [*with_, f"b{t}"], "left_semi")
-            parts.append(part.select(*state.columns, f"b{t}"))
+                    part = _kept(part, redealt(other, with_[0]), carried, [*with_, f"b{t}"])
+            parts.append(part.select(*state.columns, f"b{t}", *(c for _, carried, _ in tied for c in carried)))
             taken = taken | (F.col(f"_n{s}") == least)
         out = reduce(DataFrame.unionByName, parts)
-    for offer, _ in free:
-        out = out.join(offer, [f"b{t}"], "left_semi")
-    return out.select(*state.columns, f"b{t}")
+    for offer, carried, _ in free:
+        out = _kept(out, offer, carried, [f"b{t}"])
+    return out.select(*state.columns, *new)
 
 
 #: Rows that a cell of the hypercube should hold, bindings that a cell prolongs at a time.
