@@ -26,8 +26,9 @@ from pyspark.sql import functions as F
 from linform.llm.common import materialise, row_ids, texts_of
 
 SLOTS, KICKS = 4, 200
-#: Entries that a task keeps before it hands them on; keys of one part of the index (some 400 bytes each in a worker).
-FLUSH, PART = 100_000, 250_000
+#: Entries that a task keeps before it hands them on; keys of one part of the index at most (some 400 bytes
+#: each in a worker) and at least.
+FLUSH, PART, LEAST = 100_000, 250_000, 10_000
 
 
 class CuckooIndex:
@@ -165,9 +166,10 @@ def _indexed(rows: DataFrame, flush: int | None = None) -> DataFrame:
 
 
 def _by_digest(parts: DataFrame, part: int) -> DataFrame:
-    """Entries of one digest together, in partitions of some `part` keys."""
+    """Entries of one digest together, in partitions of some `part` keys; as many as can run at once, if each gets LEAST."""
     held = materialise(parts, "digest-entries")
-    return _indexed(held.repartition(max(1, -(-held.count() // part)), "digest"))
+    n, cores = held.count(), held.sparkSession.sparkContext.defaultParallelism
+    return _indexed(held.repartition(max(-(-n // part), min(cores, n // LEAST), 1), "digest"))
 
 
 def build_index(digested: DataFrame, flush: int = FLUSH, part: int = PART) -> DataFrame:
