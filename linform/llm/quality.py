@@ -7,8 +7,9 @@ one task visits in hash order for some passes; the weights (of fixed size) are b
 scored as a sparse dot product, whatever its length.
 
 Null texts count as empty: such a text has no features and scores by the bias alone. Labels that are null are not
-learned from; of labels or documents that repeat an id, all are taken. Without labels, all scores are one half.
-An empty table gives an empty result. Extra columns are not read.
+learned from; labels that repeat are one label, labels of one id that differ are all learned from, of documents that
+repeat an id the least text is. Without labels, all scores are one half. An empty table gives an empty result. Extra
+columns are not read.
 """
 
 from __future__ import annotations
@@ -90,11 +91,13 @@ class Ftrl:
 def sampled(docs: DataFrame, known: DataFrame, label: str, max_labelled: int) -> DataFrame:
     """(h, doc_id, label, text) of at most max_labelled labels of least id hash, in one partition in that order.
 
-    The sample is drawn from (doc_id, label) alone, so it is bounded before it is broadcast to the documents.
+    The sample is drawn from (doc_id, label) alone, so it is bounded before it is broadcast to the documents; of
+    documents that repeat an id the least text is taken, so the rows are bounded, too.
     """
     order = F.xxhash64("doc_id")
     ids = known.where(F.col(label).isNotNull()).select(order.alias("h"), "doc_id", label).orderBy("h", "doc_id", label).limit(max_labelled)
     rows = docs.select("doc_id", F.col("text").cast("string").alias("text")).join(F.broadcast(ids), "doc_id")
+    rows = rows.groupBy("h", "doc_id", label).agg(F.min(F.coalesce("text", F.lit(""))).alias("text"))
     return rows.select("h", "doc_id", label, "text").repartition(1).sortWithinPartitions("h", "doc_id", label)
 
 
