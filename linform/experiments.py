@@ -28,7 +28,7 @@ def _pairs(spark: SparkSession, shape: str, n: int) -> DataFrame:
     """hub: 0 with each number below n and each with 0. square: all pairs of numbers below n."""
     if shape == "hub":
         i = spark.range(n).select(F.col("id").alias("x"), F.lit(0).cast("long").alias("y"))
-        return i.union(i.select("y", "x")).distinct()
+        return i.union(i.where("x > 0").select("y", "x"))
     i = spark.range(n)
     return i.select(F.col("id").alias("x")).crossJoin(i.select(F.col("id").alias("y")))
 
@@ -69,7 +69,7 @@ def joined(q: LinearQuery, db: Database) -> int:
     """Rows of the largest result of joins two by two."""
     order = [s.atom for s in E.join_steps(q, db)]
     most = 0
-    for n in range(1, len(order) + 1):
+    for n in range(2, len(order) + 1):
         part = tuple(q.atoms[i] for i in order[:n])
         most = max(most, E.solved_join(LinearQuery(q.variables, (), part, q.field), db).df.count())
     return most
