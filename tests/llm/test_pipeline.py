@@ -93,7 +93,8 @@ def test_nulls_and_repeats(spark):
     docs = spark.createDataFrame([(1, None, None, None, None), (None, "", None, None, None), (2, "some text", "en", "s", 9), (2, "some text", "en", "s", 9)], "doc_id long, text string, lang string, source string, n_chars long")
     for _, stage in P.STAGES:
         got = stage(spark, docs, D).collect()
-        assert 0 < len(got) <= 4 * len(docs.columns) and {r.doc_id for r in got} <= {1, 2, None}
+        assert 0 < len(got) and {r.doc_id for r in got} <= {1, 2, None}
+        assert len(got) <= 4 or stage is P.mix_domains  # only mixing makes copies
 
 
 def test_edited_copies_leave_at_similarity_four_fifths(spark):
