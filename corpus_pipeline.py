@@ -34,7 +34,10 @@ def delete_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The row of least id stays, one alone, of each group of texts that share at least 0.8 of their five-word shingles."""
+    """The row of least id stays, one alone, of each group of texts that share at least 0.8 of their five-word shingles.
+
+    Candidates are links of SimHash fingerprints of those shingles within radius 3, and bands of least hashes for the
+    similar texts that lie further apart; an exact check of the shingles follows both."""
     rows = materialise(docs.select(*COLUMNS).withColumn("row", F.monotonically_increasing_id()), "rows")
     first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "row"))  # a null id is the largest
     keep = rows.select("row", "doc_id").join(simhash.similar_groups(rows, "row"), "row").groupBy("root").agg(first.alias("first"))

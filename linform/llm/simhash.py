@@ -14,7 +14,8 @@ it in contractions over tables in the shared folder.
 Similarity (similar_groups) is another question: sets of shingles with a Jaccard similarity of 0.8 lie some ten bits
 apart and at times twenty, where agreeing bit blocks are of three or four bits and part nothing. There buckets
 come from bands of least hashes of the shingles (a pair of similarity 0.8 shares none of them once in 20,000), the bit
-planes of the sets only sort out pairs beyond a wide radius, and each link is checked on the whole sets.
+planes of the sets only sort out pairs beyond a wide radius, and each link is checked on the whole sets. The SimHash
+fingerprints of the sets are linked first, at the radius and by the buckets above; bands are for the similar pairs beyond it.
 
 Null texts count as empty: fingerprint zero. A null doc_id takes part, but names no component unless all of
 its members are null. Repeated rows are kept. An empty table gives an empty result.
@@ -346,35 +347,48 @@ def similar_links(sets: DataFrame, buckets: DataFrame, similar: float, block: in
     return tasks.mapInArrow(run, "a long, b long")
 
 
-def similar_groups(docs: DataFrame, row_col: str, text_col: str = "text", shingle: int = 5, similar: float = 0.8) -> DataFrame:
+def fingerprint_pairs(firsts: DataFrame, radius: int) -> DataFrame:
+    """(row, fp) -> (a, b): pairs of rows, of equal fingerprints or of ones that links within the radius connect."""
+    distinct = materialise(firsts.groupBy("fp").agg(F.min("row").alias("hub")), "shingle-fingerprints")
+    same = firsts.join(redealt(distinct, "fp"), "fp").where("row <> hub").select(F.col("row").alias("a"), F.col("hub").alias("b"))
+    links = materialise(fingerprint_links(distinct.select("fp"), radius), "shingle-near")
+    ends = links.join(distinct.select(F.col("fp").alias("a"), F.col("hub").alias("row_a")), "a").join(distinct.select(F.col("fp").alias("b"), F.col("hub").alias("row_b")), "b")
+    return same.union(ends.select(F.col("row_a").alias("a"), F.col("row_b").alias("b")))
+
+
+def similar_groups(docs: DataFrame, row_col: str, text_col: str = "text", shingle: int = 5, similar: float = 0.8, radius: int = 3) -> DataFrame:
     """(row, root) of every row of docs: rows that links of similar sets of word shingles connect have one root.
 
     row_col: distinct longs, in a table that was written after they were given. Rows of equal sets are linked too.
+    Candidates are the SimHash links of the sets within the radius, and rows of one bucket of bands; both are checked.
     Each bucket's rows are first held against its least row, which joins large groups of copies at a cost in proportion
     to their size; buckets that are not one component then are compared whole.
     """
     texts = docs.select(F.col(row_col).alias("row"), F.col(text_col).cast("string").alias("text"))
 
     def marks(batch: pa.RecordBatch) -> dict:
-        digest, keys = [], []
+        digest, keys, fps = [], [], []
         for text in texts_of(batch.column(1)):
             held = shingle_set(text, shingle)
             digest.append(xxhash.xxh128_digest(held.tobytes(), SEED))
+            fps.append(majority(iter([held])))
             keys.append(band_keys(held).view(np.int64) if len(held) else [])
-        return {"row": batch.column(0), "digest": pa.array(digest, pa.binary()), "keys": pa.array(keys, pa.list_(pa.int64()))}
+        return {"row": batch.column(0), "digest": pa.array(digest, pa.binary()), "fp": pa.array(np.array(fps, np.uint64).view(np.int64)), "keys": pa.array(keys, pa.list_(pa.int64()))}
 
     def whole(batch: pa.RecordBatch) -> dict:
         held = [shingle_set(x, shingle) for x in texts_of(batch.column(1))]
         fps = np.array([majority(iter([x])) for x in held], np.uint64).view(np.int64)
         return {"row": batch.column(0), "fp": pa.array(fps), "held": pa.array([x.tobytes() for x in held], pa.binary())}
 
-    marked = materialise(arrow_map(texts, marks, "row long, digest binary, keys array<long>"), "shingle-marks")
-    firsts = materialise(marked.groupBy("digest").agg(F.min("row").alias("row")), "shingle-sets")
+    marked = materialise(arrow_map(texts, marks, "row long, digest binary, fp long, keys array<long>"), "shingle-marks")
+    firsts = materialise(marked.groupBy("digest").agg(F.min("row").alias("row"), F.first("fp").alias("fp")), "shingle-sets")
+    near = materialise(fingerprint_pairs(firsts.select("row", "fp"), radius), "shingle-candidates")
     dealt = marked.join(firsts.select("row"), "row", "left_semi").select("row", F.explode("keys").alias("key"))
     shared = dealt.groupBy("key").agg(F.count("*").alias("n"), F.min("row").alias("hub")).where("n > 1").drop("n")
     buckets = materialise(dealt.join(redealt(shared, "key"), "key").select("row", "key", "hub"), "shingle-buckets")
-    sets = materialise(arrow_map(texts.join(buckets.select("row").distinct(), "row"), whole, "row long, fp long, held binary"), "shingle-held")
-    stars = materialise(sure_links(buckets.where("row <> hub").select(F.col("row").alias("a"), F.col("hub").alias("b")).distinct(), sets, similar), "shingle-stars")
+    sets = materialise(arrow_map(texts.join(buckets.select("row").union(near.select("a")).union(near.select("b")).distinct(), "row"), whole, "row long, fp long, held binary"), "shingle-held")
+    banded = buckets.where("row <> hub").select(F.col("row").alias("a"), F.col("hub").alias("b"))
+    stars = materialise(sure_links(banded.union(near).distinct(), sets, similar), "shingle-stars")
     roots = connected_components(stars)
     rooted = buckets.join(redealt(roots, "node"), F.col("row") == F.col("node"), "left").select("row", "key", F.coalesce("root", "row").alias("root"))
     rooted = materialise(rooted, "shingle-rooted")

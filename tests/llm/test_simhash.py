@@ -111,6 +111,20 @@ def test_large_buckets_are_cut_without_loss(spark):
     assert roots(len(fps), [(at[r.a], at[r.b]) for r in got]) == roots(len(fps), want)
 
 
+def test_similar_groups_link_by_fingerprints(spark):
+    """Similar texts within the radius are candidates by their fingerprints, without the bands."""
+    words = [f"w{i * i % 977}" for i in range(3000)]
+    edited = [*words[:-1], "other"]
+    sets = [H.shingle_set(" ".join(w), 5) for w in (words, edited)]
+    assert (H.majority(iter([sets[0]])) ^ H.majority(iter([sets[1]]))).bit_count() <= 3
+    df = spark.createDataFrame([(0, " ".join(words)), (1, " ".join(edited)), (2, "quite another text of some more words")], "row long, text string")
+    first = H.materialise(df, "test-rows")
+    fps = spark.createDataFrame([(r, H.majority(iter([s])) - (1 << 64 if H.majority(iter([s])) >> 63 else 0)) for r, s in enumerate(sets)], "row long, fp long")
+    assert [sorted(x) for x in H.fingerprint_pairs(fps, 3).collect()] == [[0, 1]]
+    roots = {r.row: r.root for r in H.similar_groups(first, "row").collect()}
+    assert roots[0] == roots[1] != roots[2]
+
+
 def test_similar_groups_against_all_pairs(spark):
     rng = random.Random(11)
     rows = []
