@@ -5,6 +5,7 @@ import random
 import pytest
 
 from linform.operators import evaluate as E
+from linform.operators import pairs
 from linform.operators import reducts as R
 from linform.operators.relation import AnnotatedRelation, Database
 from linform.plans.query import parse_query
@@ -46,3 +47,17 @@ def test_hot_values_are_not_dealt(spark, monkeypatch):
     db.stats()
     monkeypatch.setattr(shared, "FEW", 60)
     assert R.deal_of(SKEW, db) is None
+
+
+@pytest.mark.parametrize("how", ["dense", "value", "size", "domain"])
+def test_counts_of_sums_make_no_row_a_pair(spark, how, monkeypatch):
+    q = parse_query("Q() <- A(X)*B(Y)*C(X+Y)")
+    rows = {"A": range(0, 40), "B": range(0, 90, 3), "C": range(0, 130, 2)}
+    db = Database({n: AnnotatedRelation.of_rows(spark, [(x, x % 3 + 1) for x in xs], 1) for n, xs in rows.items()}).settled()
+    db.stats()
+    monkeypatch.setattr(pairs, "PAIRS", 100)
+    got = E.EVALUATORS[how](q, db)
+    want = sum((x % 3 + 1) * (y % 3 + 1) * ((x + y) % 3 + 1) for x in rows["A"] for y in rows["B"] if x + y in rows["C"])
+    assert got.first().ann == want
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert "MapInArrow" in plan or how == "domain"
