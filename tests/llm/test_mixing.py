@@ -1,6 +1,8 @@
 import random
+import re
 
 import numpy as np
+import xxhash
 from pyspark.sql import functions as F
 
 from linform.llm import mixing as M
@@ -85,3 +87,32 @@ def test_fit_is_optimal_with_production_defaults(spark):
         gradient = p @ (miss / share) + M.PULL * (r - 1)
         assert np.abs(np.where(r > floor, gradient, np.minimum(gradient, 0))).max() < 1e-4
         assert abs(np.abs(miss).sum() - misses[-1]) < 1e-6 < misses[0]
+
+
+def test_texts_go_to_the_classifier_once_and_no_further(spark):
+    docs = spark.createDataFrame([(1, "the of"), (2, None), (None, " a\x1cb ")], "doc_id long, text string")
+    weights = np.zeros(((1 << M.SPACE) + 1, len(M.DOMAINS)), np.float32)
+    whole, short = M.posteriors(docs, weights), M.posteriors(docs, weights, keep_text=False)
+    assert "_asked" not in whole._jdf.queryExecution().optimizedPlan().toString()
+    assert short.columns == ["doc_id", "tokens", "posterior"]
+    assert {(r.doc_id, r.tokens) for r in short.collect()} == {(r.doc_id, r.tokens) for r in whole.collect()} == {(1, 2), (2, 0), (None, 2)}
+    assert "text" not in M.mix(docs, weights, keep_text=False).columns
+
+
+def test_features_of_rare_words(monkeypatch):
+    monkeypatch.setattr(M, "KEPT_WORDS", 50)
+    rng = random.Random(6)
+    words = ["".join(rng.choice("abÀßçİ日_!.,9'") for _ in range(rng.randrange(1, 50))) for _ in range(400)] + ["the", "THE", "The,", "_"]
+    small, large = M.WordFeatures(12), M.WordFeatures(12)
+    for _ in range(3):
+        rng.shuffle(words)
+        for w in words:
+            marks = "" if w.isalpha() else re.search(r"\W*\Z", w)[0][:3]
+            kind = 0 if w.islower() else 2 if len(w) > 1 and w.isupper() else 1 if w[0].isupper() else 0
+            stem = xxhash.xxh64_intdigest(w[: M.STEM].lower().encode(), 1) & large.mask
+            shape = xxhash.xxh64_intdigest(f"{kind}{min(len(w), 40).bit_length()}{marks}".encode(), 2) & large.mask
+            assert small[w] == stem << 12 | shape
+            assert len(small) <= 50
+    first = list(small)[0]
+    small[words[-1] + "x"]
+    assert first in small  # words that came first stay when others are met
