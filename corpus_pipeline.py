@@ -49,7 +49,7 @@ def mix_domains(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     at least once, toxic ones go."""
     corpus = table(spark, sf_dir, "documents")
     weights = mixing.train(corpus, mixing.known_domains(corpus, table(spark, sf_dir, "labels")))
-    rated = mixing.mix(docs.select("doc_id", "text"), weights, keep_clean=True, temper=0.95).groupBy("doc_id").agg(F.max("copies").alias("copies")).where("copies > 0")
+    rated = mixing.mix(docs.select("doc_id", "text"), weights, keep_clean=True, temper=0.95, keep_text=False).groupBy("doc_id").agg(F.max("copies").alias("copies")).where("copies > 0")
     joined = docs.join(rated.withColumnRenamed("doc_id", "of"), docs["doc_id"].eqNullSafe(F.col("of")))
     return joined.withColumn("nth", F.explode(F.sequence(F.lit(1), "copies"))).select(*COLUMNS)
 

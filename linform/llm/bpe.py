@@ -30,6 +30,8 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from linform.llm.common import asked_of, held
+
 # Fixed value: the pre-split pattern of byte-level BPE.
 PRE_SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 #: Words whose ids a worker keeps in each of two generations, answers kept in the transition table, rows in a batch out.
@@ -254,15 +256,16 @@ def round_trip(docs: DataFrame, automaton: MergeAutomaton, text_col: str = "text
 def _added(df: DataFrame, automaton: MergeAutomaton, source: str, made: dict[str, str], one) -> DataFrame:
     machine = df.sparkSession.sparkContext.broadcast(automaton)
     kept = [c for c in df.columns if c not in made]
-    asked = df.select(*kept, F.col(source).alias("_asked"))
+    asked, at_source = asked_of(df, kept, source)
     kinds = [pa.list_(pa.int32()) if kind.startswith("array") else pa.string() for kind in made.values()]
 
     def run(batches):
+        held("bpe")  # a machine keeps its words itself, as long as its broadcast
         tool = machine.value
         for whole in batches:
             for at in range(0, whole.num_rows, ROWS):
                 batch = whole.slice(at, ROWS)
-                out = zip(*(one(tool, x) for x in batch.column(len(kept)).to_pylist()), strict=True)
+                out = zip(*(one(tool, x) for x in batch.column(at_source).to_pylist()), strict=True)
                 arrays = [pa.array(values, kind) for values, kind in zip(out, kinds, strict=True)]
                 yield pa.RecordBatch.from_arrays([*batch.columns[: len(kept)], *arrays], names=[*kept, *made])
 

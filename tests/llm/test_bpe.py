@@ -1,6 +1,7 @@
 import hashlib
 import random
 
+import numpy as np
 import public_tokenizers
 import pytest
 from tokenizers import Tokenizer
@@ -84,3 +85,15 @@ def test_query(spark, library):
         assert got[r.doc_id].n_tokens == len(ids)
         assert got[r.doc_id].ids_sha256 == hashlib.sha256(",".join(map(str, ids)).encode()).hexdigest()
         assert got[r.doc_id].decoded_sha256 == hashlib.sha256((r.text or "").encode()).hexdigest()
+
+
+def test_a_worker_keeps_what_one_operator_knows(spark):
+    """Caches of earlier stages would add up in the workers of a pipeline, and texts that are sent twice in their batches."""
+    from linform.llm import common, quality
+
+    first = common.held("a", lambda: [1])
+    assert common.held("a", lambda: [2]) is first
+    assert common.held("b", lambda: [3]) == [3] and list(common._HELD) == ["b"]
+    docs = spark.createDataFrame([(1, "the of"), (2, None)], "doc_id long, text string")
+    for df in (quality.score(docs, np.zeros((1 << quality.SPACE) + 1, np.float32)), bpe.encode(docs, bpe.MergeAutomaton({"a": 0}, []))):
+        assert "_asked" not in df._jdf.queryExecution().optimizedPlan().toString()
