@@ -77,3 +77,16 @@ def test_tuples_out_of_range_are_not_summed(spark, monkeypatch):
     assert plan.index("Aggregate") < plan.index("Filter") < plan.index("Range"), plan  # out of range: not dealt, not written
     rows = lambda d: sorted(map(tuple, E.eval_joined(q, d).collect()))
     assert rows(small) == rows(db.settled()) != []
+
+
+def test_only_what_is_prolonged_is_dealt(spark, monkeypatch):
+    made = [[(y, z, 1) for y in range(5) for z in range(40)], [(u, w, 1) for u in range(9) for w in range(40)]]
+    db = Database({"A": AnnotatedRelation.of_rows(spark, [(x, y, 1) for x in range(4) for y in range(5)], 2), "B": AnnotatedRelation.of_rows(spark, made[0], 2), "C": AnnotatedRelation.of_rows(spark, made[1], 2)}).settled()
+    db.stats()
+    monkeypatch.setattr(shared, "FEW", 60)
+    monkeypatch.setattr(R, "SPREAD", 1)
+    deal = R.deal_of(SKEW, db)
+    got = RUNS["integral"](SKEW, db)
+    assert deal is not None and got.count() == sum(y + z < 40 for x in range(4) for y in range(5) for z in range(40))
+    plan = got._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("RepartitionByExpression") == 2, plan  # B once and C once, no projection of B
